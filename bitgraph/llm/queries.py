@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import contamination, licenses, mixing, quality, secrets
+from . import contamination, dedup, licenses, mixing, quality, secrets
 from .common import Scratch, table
 
 
@@ -17,6 +17,12 @@ def op2_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans")
 
 
+def op3_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The contract asks for shingles of two words; other users of the operator take five."""
+    found = dedup.near_duplicates(table(spark, sf_dir, "documents"), Scratch(spark), width=2)
+    return found.select("doc_id", "n_shingles", "component_id", "kept")
+
+
 def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"), Scratch(spark)).select("doc_id", "size", "source_size", "target", "taken")
 
@@ -34,6 +40,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (F.col("kept") & ~base).alias("kept"))
 
 
-QUERIES = {"op1_license_scans": op1_license_scans, "op2_secret_scans": op2_secret_scans, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op10_quality_rules": op10_quality_rules}
+QUERIES = {"op1_license_scans": op1_license_scans, "op2_secret_scans": op2_secret_scans, "op3_near_dedup": op3_near_dedup, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op10_quality_rules": op10_quality_rules}
 
 ORACLES = {}
