@@ -163,14 +163,24 @@ class NearDuplicates:
         return found.union(more)
 
     def result(self) -> DataFrame:
-        """doc_id, key, n_shingles, cid, component_id, kept of every row; ``cid`` is the class, null without words."""
+        """doc_id, key, n_shingles, cid, component, component_id, kept of every row; the class ``cid`` is null without words."""
         roots = components(self.links().select("a", "b"), self.scratch)
         placed = self.classes.select("cid", "rep").join(roots, F.col("cid") == F.col("node"), "left").select("cid", "rep", F.coalesce("root", "cid").alias("c"))
         least = placed.groupBy("c").agg(F.min("rep").alias("component_id"))
-        by_class = placed.join(least, "c").select("cid", "component_id")
+        by_class = placed.join(least, "c").select("cid", F.col("c").alias("component"), "component_id")
         out = self.rows.select("doc_id", "key", "n", "cid").join(by_class, "cid", "left")
         component = F.when(F.col("cid").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
-        return out.select("doc_id", "key", F.col("n").alias("n_shingles"), "cid", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+        return out.select("doc_id", "key", F.col("n").alias("n_shingles"), "cid", "component", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
+
+
+def representatives(docs: DataFrame, scratch: Scratch, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
+    """One row of docs from each component, of its smallest id; rows without words all stay, but equal ones once."""
+    found = near_duplicates(docs, scratch, doc_id=doc_id, text=text, **options)
+    alone = found.where("cid IS NULL").select("key")
+    one = found.where("cid IS NOT NULL AND kept").groupBy("component").agg(F.min("key").alias("key")).select("key")
+    keyed = docs.withColumn("__key", row_key(F.col(doc_id), whole(text)))
+    chosen = alone.union(one).distinct().withColumnRenamed("key", "__key")
+    return keyed.join(chosen, "__key", "left_semi").dropDuplicates(["__key"]).select(*docs.columns)
 
 
 def near_duplicates(docs: DataFrame, scratch: Scratch, **options) -> DataFrame:

@@ -5,7 +5,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from . import contamination, dedup, licenses, mixing, quality, secrets
+from . import contamination, dedup, html, langid, licenses, lm, mixing, quality, secrets, toxicity
 from .common import Scratch, table
 
 
@@ -27,12 +27,42 @@ def op4_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(table(spark, sf_dir, "documents"), Scratch(spark)).select("doc_id", "size", "source_size", "target", "taken")
 
 
+def fold(modulus: int):
+    """True for the rows that a query holds out of training; a null id is not."""
+    return F.coalesce(F.crc32(F.col("doc_id").cast("string")) % modulus == 0, F.lit(False))
+
+
+def op5_language_id(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    trained = langid.bounded_sample(docs.where(~fold(5) & F.col("lang").isNotNull()).select("doc_id", "lang", "text"), "doc_id", langid.MOST_TRAINING)
+    model = langid.NaiveBayes.fit(trained)
+    return model.predict(docs.select("doc_id", "text", fold(5).alias("held_out"))).select("doc_id", "held_out", "lang_pred", "score")
+
+
 def op6_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, items = table(spark, sf_dir, "documents"), table(spark, sf_dir, "benchmark")
     ids = F.sha2(F.array_join("items", ","), 256)
     return contamination.scan(docs, items).select("doc_id", "n_words", "n_hit", F.size("items").cast("long").alias("n_items"), ids.alias("items_sha256"), (F.col("n_hit") > 0).alias("contaminated"))
 
 
+def op7_toxicity(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, labels = table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels")
+    model = toxicity.NoisyOr.fit(toxicity.labelled_sample(docs, labels.where(~fold(5))))
+    scored = model.score(docs.select("doc_id", "text", fold(5).alias("held_out")))
+    return scored.select("doc_id", "held_out", "score", (F.col("score") >= 0.5).cast("int").alias("predicted"))
+
+
+def op8_main_text(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return html.main_text(table(spark, sf_dir, "pages").select("page_id", "url", "html"))
+
+
+def op9_lm_score(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs, scratch = table(spark, sf_dir, "documents").select("doc_id", "text"), Scratch(spark)
+    model = lm.SuffixTree.fit(docs.where(~fold(10)), scratch)
+    scored = model.score(docs, scratch)
+    return scored.select("doc_id", fold(10).alias("held_out"), "n_tokens", "n_known", "train_tokens", "base_score", "score")
+
+
 def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs = table(spark, sf_dir, "documents").select("doc_id", "text")
     judged = quality.Cascade.fit(docs).apply(docs)
@@ -40,6 +70,6 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (F.col("kept") & ~base).alias("kept"))
 
 
-QUERIES = {"op1_license_scans": op1_license_scans, "op2_secret_scans": op2_secret_scans, "op3_near_dedup": op3_near_dedup, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op10_quality_rules": op10_quality_rules}
+QUERIES = {"op1_license_scans": op1_license_scans, "op2_secret_scans": op2_secret_scans, "op3_near_dedup": op3_near_dedup, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op5_language_id": op5_language_id, "op7_toxicity": op7_toxicity, "op8_main_text": op8_main_text, "op9_lm_score": op9_lm_score, "op10_quality_rules": op10_quality_rules}
 
 ORACLES = {}
