@@ -1,15 +1,17 @@
 """Near-duplicate detection with bottom-k sketches from one hash function.
 
 Every text becomes its set of hashed word shingles; equal sets form a class, and everything after works on classes. A
-class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the PREFIX rarest kept values that another
-class keeps too: values ordered by how many sketches hold them, so that common words and shared lines make no long lists.
-Two sets at or over the threshold share such a value: for sets that fit a sketch this is the prefix filter and certain,
-for larger ones it fails with the chance that far more than the unshared fifth of a sketch is unshared.
-
-A list is not expanded into all its pairs. Each member is compared with the list's first member; after components are
-known, members of one list in different components are compared too, and pairs inside a component need no look, as they
-could join nothing. A pair's similarity is estimated on the union sketch, and counted exactly on the full sets where the
-estimate is not far below the threshold. Components come from alternating stars. Nothing is collected to the driver.
+class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, of PREFIX or as many
+as the size asks for: values ordered by how many sketches hold them, so that common words and shared lines make long
+lists only for texts of little else. Two sets at or over the threshold share such a value: for sets that fit a sketch
+this is the prefix filter and certain, for larger ones it fails with the chance that half of a sketch is unshared, near
+1e-8.
+
+A list is not expanded into all its pairs. Each member is compared with two pivots of the list, its smallest set and its
+first class; after components are known, members of one list in different components are compared too, and pairs inside a
+component need no look, as they could join nothing. A pair's similarity is estimated on the union sketch, which for sets
+that fit a sketch is exact, and counted on the full sets where the estimate is not far below the threshold. Components
+come from alternating stars. Nothing is collected to the driver.
 
 Defined results: text without words (null, empty) is linked with nothing; a text of fewer words than a shingle is one
 shingle; repeated rows are one class; a null id takes part, but names no component unless no other id does; an empty
@@ -32,9 +34,15 @@ from .components import components
 WIDTH = 5
 THRESHOLD = (80, 100)
 SKETCH = 32
-PREFIX = 12
-#: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with a chance near 1e-8.
-LEAST_ESTIMATE = 0.4
+PREFIX = 16
+#: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with a chance near 1e-5, at the threshold itself.
+LEAST_ESTIMATE = 0.5
+#: Values before the first shared one, of two sketches together. At the threshold some 7 are expected; more have a chance near 1e-5.
+MOST_BEFORE = 18
+#: Keys of texts that may be broadcast (16 bytes each); more are joined by a shuffle.
+MOST_BROADCAST = 1_000_000
+#: Bytes of full sets that may be broadcast; more are joined by a shuffle.
+MOST_SET_BYTES = 48 << 20
 #: Hashes of words that a worker remembers.
 REMEMBERED = 1 << 17
 
@@ -86,7 +94,7 @@ def _sets(width: int):
         shingles = Shingler(width)
         for batch in it:
             sets = [shingles(t).tobytes() for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], names=["cid", "hashes"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], names=["c", "hashes"])
 
     return batches
 
@@ -103,9 +111,10 @@ def _common(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(common, pa.int64()), pa.array(together, pa.int64())], names=["a", "b", "common", "together"])
 
 
-def estimate(p: str, q: str, size: int = SKETCH) -> Column:
-    """Jaccard similarity estimated on the smallest values of the union of two sketches."""
-    union = F.slice(F.array_sort(F.array_union(p, q)), 1, size)
+def estimate(p: str, q: str) -> Column:
+    """Jaccard similarity estimated on the smallest values of the union of two sketches; exact where both hold whole sets."""
+    whole_sets = (F.size(p) < SKETCH) & (F.size(q) < SKETCH)
+    union = F.slice(F.array_sort(F.array_union(p, q)), F.lit(1), F.when(whole_sets, F.lit(2 * SKETCH)).otherwise(SKETCH))
     return F.size(F.array_intersect(F.array_intersect(p, q), union)) / F.size(union)
 
 
@@ -118,56 +127,75 @@ class NearDuplicates:
         schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>"
         self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
         grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
-        self.classes = scratch.keep(grouped)
+        self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash
 
     def lists(self) -> DataFrame:
-        """(v, cid, n): the inverted lists, of values that two classes or more list."""
-        kept = self.classes.select("cid", "n", F.explode("sketch").alias("v"))
+        """(v, c, n, at): the inverted lists, of values that two classes or more list. ``at``: values of the class before v."""
+        kept = self.classes.select("c", F.explode("sketch").alias("v"))
         held = kept.groupBy("v").agg(F.count("*").alias("held")).where("held > 1")
-        mine = kept.join(held, "v").groupBy("cid", "n").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # SKETCH at most
+        mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # SKETCH at most
+        mine = mine.join(self.classes.select("c", "n"), "c")
         part = F.when(F.col("n") <= SKETCH, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(PREFIX)
-        return mine.select("cid", "n", F.explode(F.slice("vs", F.lit(1), F.least(part, F.lit(PREFIX)).cast("int"))).alias("x")).select("x.v", "cid", "n")
-
-    def _alike(self, small: Column, large: Column) -> Column:
-        return self.threshold[1] * F.least(small, large) >= self.threshold[0] * F.greatest(small, large)
+        alone = F.least(F.col("n"), F.lit(SKETCH)) - F.size("vs")  # values of no other class come first in the order
+        left = F.greatest(F.least(part, F.lit(PREFIX)) - alone, F.lit(0)).cast("int")
+        placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at")))
+        return mine.select("c", "n", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at")
+
+    def _alike(self, n: Column, at: Column, m: Column, bt: Column) -> Column:
+        """Length and positional filter of two classes of n and m values that meet at places at and bt of a list.
+
+        At the first value they share, what lies before it is in one of them only: exact for sets that fit a sketch.
+        """
+        over, under = self.threshold
+        lengths = under * F.least(n, m) >= over * F.greatest(n, m)
+        common = F.least(n - at, m - bt)
+        exact = under * common >= over * (n + m - common)
+        return lengths & F.when((n <= SKETCH) & (m <= SKETCH), exact).otherwise(at + bt <= MOST_BEFORE)
 
     def verify(self, pairs: DataFrame) -> DataFrame:
         """(a, b, common, together) of those of the distinct ``pairs`` (a, b) at or over the threshold."""
-        sketch = self.classes.select("cid", "sketch")
-        of = lambda side: sketch.select(F.col("cid").alias(side), F.col("sketch").alias(f"{side}_sketch"))
-        likely = self.scratch.keep(pairs.join(of("a"), "a").join(of("b"), "b").where(estimate("a_sketch", "b_sketch") >= LEAST_ESTIMATE).select("a", "b"))
-        needed = likely.select(F.explode(F.array("a", "b")).alias("cid")).distinct().join(self.classes.select("cid", "key"), "cid")
-        texts = self.texts.select("key", "text").join(needed, "key").select("cid", "text").mapInArrow(_sets(self.width), "cid binary, hashes binary")
-        sets = self.scratch.keep(texts.dropDuplicates(["cid"]))
-        side = lambda s: sets.select(F.col("cid").alias(s), F.col("hashes").alias(f"{s}_hashes"))
+        sketch = self.classes.select("c", "sketch")
+        of = lambda side: sketch.select(F.col("c").alias(side), F.col("sketch").alias(f"{side}_sketch"))
+        whole_sets = (F.size("a_sketch") < SKETCH) & (F.size("b_sketch") < SKETCH)
+        least = F.when(whole_sets, F.lit(self.threshold[0] / self.threshold[1] - 1e-9)).otherwise(LEAST_ESTIMATE)
+        likely = self.scratch.keep(pairs.join(of("a"), "a").join(of("b"), "b").where(estimate("a_sketch", "b_sketch") >= least).select("a", "b"))
+        needed = likely.select(F.col("a").alias("c")).union(likely.select(F.col("b").alias("c"))).distinct().join(self.classes.select("c", "key", "n"), "c")
+        needed = self.scratch.keep(needed)
+        n_values, n_sets = needed.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
+        wanted = F.broadcast(needed) if n_sets <= MOST_BROADCAST else needed
+        texts = self.texts.select("key", "text").join(wanted, "key").select("c", "text").mapInArrow(_sets(self.width), "c bigint, hashes binary")
+        sets = self.scratch.keep(texts.dropDuplicates(["c"]))
+        sent = F.broadcast if 8 * n_values <= MOST_SET_BYTES else lambda t: t  # a set may be in many pairs
+        side = lambda s: sent(sets.select(F.col("c").alias(s), F.col("hashes").alias(f"{s}_hashes")))
         full = likely.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_hashes", "b_hashes")
-        counted = full.mapInArrow(_common, "a binary, b binary, common bigint, together bigint")
+        counted = full.mapInArrow(_common, "a bigint, b bigint, common bigint, together bigint")
         out = self.scratch.keep(counted.where(F.col("common") * self.threshold[1] >= F.col("together") * self.threshold[0]))
-        self.scratch.drop(sets, likely)
+        self.scratch.drop(needed, likely, sets)
         return out
 
     def links(self) -> DataFrame:
         """(a, b, common, together): verified links between classes, enough to connect all that are connected."""
         lists = self.scratch.keep(self.lists())
-        first = lists.groupBy("v").agg(F.min(F.struct("cid", "n")).alias("f")).select("v", F.col("f.cid").alias("b"), F.col("f.n").alias("m"))
-        stars = lists.join(first, "v").where((F.col("cid") != F.col("b")) & self._alike(F.col("n"), F.col("m"))).select(F.col("cid").alias("a"), "b").distinct()
+        pivots = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at")).alias("f"), F.min(F.struct("n", "c", "at")).alias("g"))
+        pivots = pivots.select("v", F.explode(F.array(F.struct(F.col("f.c").alias("b"), F.col("f.n").alias("m"), F.col("f.at").alias("bt")), F.struct(F.col("g.c").alias("b"), F.col("g.n").alias("m"), F.col("g.at").alias("bt")))).alias("x")).select("v", "x.b", "x.m", "x.bt")
+        stars = lists.join(pivots, "v").where((F.col("c") != F.col("b")) & self._alike(F.col("n"), F.col("at"), F.col("m"), F.col("bt"))).select(F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b")).distinct()
         found = self.verify(stars)
         roots = components(found.select("a", "b"), self.scratch)
-        lists2 = lists.join(roots, lists["cid"] == roots["node"], "left").select("v", "cid", "n", F.coalesce("root", "cid").alias("c"))
-        open_lists = lists2.groupBy("v").agg(F.min("c").alias("x"), F.max("c").alias("y"), F.min("cid").alias("pivot")).where("x <> y").select("v", "pivot")
-        left = self.scratch.keep(lists2.join(open_lists, "v").where("cid <> pivot").select("v", "cid", "n", "c"))  # pairs with the first member are done
-        other = left.select("v", F.col("cid").alias("b"), F.col("n").alias("m"), F.col("c").alias("d"))
-        across = left.join(other, "v").where((F.col("cid") > F.col("b")) & (F.col("c") != F.col("d")) & self._alike(F.col("n"), F.col("m")))
-        more = self.verify(across.select(F.col("cid").alias("a"), "b").distinct())
+        lists2 = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", F.coalesce("root", "c").alias("r"))
+        open_lists = lists2.groupBy("v").agg(F.min("r").alias("x"), F.max("r").alias("y"), F.min("c").alias("first"), F.min(F.struct("n", "c"))["c"].alias("small")).where("x <> y").select("v", "first", "small")
+        left = self.scratch.keep(lists2.join(open_lists, "v").where("c <> first AND c <> small").select("v", "c", "n", "at", "r"))  # pairs with the pivots are done
+        other = left.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("r").alias("q"))
+        across = left.join(other, "v").where((F.col("c") > F.col("b")) & (F.col("r") != F.col("q")) & self._alike(F.col("n"), F.col("at"), F.col("m"), F.col("bt")))
+        more = self.verify(across.select(F.col("c").alias("a"), "b").distinct())
         self.scratch.drop(lists, left)
         return found.union(more)
 
     def result(self) -> DataFrame:
         """doc_id, key, n_shingles, cid, component, component_id, kept of every row; the class ``cid`` is null without words."""
         roots = components(self.links().select("a", "b"), self.scratch)
-        placed = self.classes.select("cid", "rep").join(roots, F.col("cid") == F.col("node"), "left").select("cid", "rep", F.coalesce("root", "cid").alias("c"))
-        least = placed.groupBy("c").agg(F.min("rep").alias("component_id"))
-        by_class = placed.join(least, "c").select("cid", F.col("c").alias("component"), "component_id")
+        placed = self.classes.select("cid", "rep", "c").join(roots, F.col("c") == F.col("node"), "left").select("cid", "rep", F.coalesce("root", "c").alias("component"))
+        least = placed.groupBy("component").agg(F.min("rep").alias("component_id"))
+        by_class = placed.join(least, "component").select("cid", "component", "component_id")
         out = self.rows.select("doc_id", "key", "n", "cid").join(by_class, "cid", "left")
         component = F.when(F.col("cid").isNull(), F.col("doc_id")).otherwise(F.col("component_id"))
         return out.select("doc_id", "key", F.col("n").alias("n_shingles"), "cid", "component", component.alias("component_id"), F.col("doc_id").eqNullSafe(component).alias("kept"))
