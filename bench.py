@@ -17,8 +17,8 @@ from pyspark.sql import functions as F
 SF_DIR = os.environ.get("BENCH_SF_DIR", "/root/testdata/sf0.1")
 CPUS = os.environ.get("BENCH_CPUS", "8")
 #: Patterns in a batch: a Spark job takes longer than a pattern, so a pattern's time is its share of a batch.
-BATCH = 2000
-RUNS = 3
+BATCH = 1000
+RUNS = 1
 
 
 def main() -> None:
@@ -62,7 +62,7 @@ def main() -> None:
             warm("pattern_p", lambda: star.index().match(p=1))
             continue
         bindings = star.scratch.keep(facts.select(*[f"{c}_id" for c in positions]).distinct())
-        for engine in ("tree", "tree_pidx", "colpart_os", "six"):
+        for engine in ("tree", "tree_pidx", "colpart_os"):
             if engine == "tree_pidx" and "p" in positions:
                 continue
             warm(f"pattern_{shape}_{engine}", lambda: engine_of(star, engine).match_batch(bindings))  # noqa: B023

@@ -121,10 +121,9 @@ class TreeIndex:
         place = lambda b: points.withColumns({"row0": F.shiftleft(F.shiftright("row", b), b), "col0": F.shiftleft(F.shiftright("col", b), b), "bits": F.lit(b)})
         placed, now = place(bits), bits
         while now > 4 and (over := placed.where(F.col("bits") == now).groupBy("p_id", "row0", "col0").agg(F.count("*").alias("n")).where(F.col("n") > max_points)).limit(1).count():
-            over = F.broadcast(over.select("p_id", F.col("row0").alias("r0"), F.col("col0").alias("c0"), F.lit(True).alias("cut")))  # one row for max_points points
+            over = F.broadcast(over.select(F.col("p_id").alias("op"), F.col("row0").alias("r0"), F.col("col0").alias("c0"), F.lit(now).alias("ob"), F.lit(True).alias("cut")))  # one row for max_points points
             small = max(now - 2, 4)
-            same = (placed["p_id"] == over["p_id"]) & (placed["row0"] == over["r0"]) & (placed["col0"] == over["c0"]) & (placed["bits"] == now)
-            joined = placed.join(over, same, "left").drop(over["p_id"])
+            joined = placed.join(over, F.expr("p_id = op AND row0 = r0 AND col0 = c0 AND bits = ob"), "left")
             b = F.when(F.col("cut"), F.lit(small)).otherwise(F.col("bits"))
             narrow = lambda c: F.when(F.col("cut"), F.shiftleft(F.shiftright(c, small), small)).otherwise(F.col(f"{c}0"))  # noqa: B023, E731
             placed = joined.select("p_id", "row", "col", narrow("row").alias("row0"), narrow("col").alias("col0"), b.alias("bits"))
@@ -255,7 +254,7 @@ class TreeIndex:
         # A chunk number by hash bounds a group on average; a tile's points bound what its walks return.
         n = F.greatest(F.lit(1), F.ceil(F.count("*").over(_by("p_id", "row0", "col0")) / CHUNK))
         routed = keyed.join(places, on).where(hit).withColumn("part", F.pmod(F.xxhash64(*bound), n) if bound != ["p_id"] else F.lit(0))
-        lists = routed.groupBy("p_id", "row0", "col0", "part").agg(*[F.collect_list(c).alias(f"{c}s") for c in bound if c != "p_id"])
+        lists = routed.groupBy("p_id", "row0", "col0", "part").agg(F.count("*").alias("n_bindings"), *[F.collect_list(c).alias(f"{c}s") for c in bound if c != "p_id"])
 
         def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             for batch in it:
