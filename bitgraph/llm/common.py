@@ -1,4 +1,4 @@
-"""Shared pieces of the text operators: tables, word splitting, row keys and scratch tables.
+"""Shared pieces of the text operators: tables, word splitting and row keys.
 
 Words come in two kinds: *plain* words are runs without ASCII white space, *alnum* words are runs of ASCII
 letters, digits and all non-ASCII characters. Lower-casing touches A-Z only, so that results do not depend on
@@ -8,12 +8,12 @@ a locale or a Unicode version.
 from __future__ import annotations
 
 import string
-import tempfile
-import uuid
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from bitgraph.store import Scratch  # noqa: F401  for the operators
+
 #: ASCII white space, and the characters that end an alnum word after lower-casing.
 SPACE = r"[\x20\x09-\x0D]+"
 NOT_ALNUM = r"[\x00-\x2F\x3A-\x60\x7B-\x7F]+"
@@ -83,35 +83,3 @@ def covered(positions: Column, width: int) -> Column:
     start = F.struct(F.lit(0).alias("n"), F.lit(-width - 1).alias("last"))
     step = lambda a, p: F.struct((a["n"] + F.least(F.lit(width), p - a["last"])).alias("n"), p.alias("last"))
     return F.aggregate(positions, start, step, lambda a: a["n"])
-
-
-class Scratch:
-    """Tables written once and read back: cuts lineage and survives lost executors.
-
-    They lie in the folder that spark.checkpoint.dir names. Where it is unset, a local session uses a temporary
-    folder and a cluster session its warehouse.
-    """
-
-    def __init__(self, spark: SparkSession):
-        self.spark = spark
-        base = spark.conf.get("spark.checkpoint.dir", None)
-        if not base:
-            local = spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local"
-            base = tempfile.mkdtemp(prefix="bitgraph-") if local else spark.conf.get("spark.sql.warehouse.dir")
-        self.root = f"{base.rstrip('/')}/scratch-{uuid.uuid4().hex}"
-        self.n = 0
-
-    def keep(self, df: DataFrame) -> DataFrame:
-        self.n += 1
-        path = f"{self.root}/t{self.n}"
-        df.write.parquet(path)
-        out = self.spark.read.schema(df.schema).parquet(path)
-        out.scratch_path = path
-        return out
-
-    def drop(self, *tables: DataFrame) -> None:
-        """Removes tables that nothing reads any more."""
-        jvm = self.spark.sparkContext._jvm
-        for t in tables:
-            path = jvm.org.apache.hadoop.fs.Path(t.scratch_path)
-            path.getFileSystem(self.spark.sparkContext._jsc.hadoopConfiguration()).delete(path, True)
