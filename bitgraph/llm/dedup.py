@@ -1,17 +1,19 @@
 """Near-duplicate detection with bottom-k sketches from one hash function.
 
 Every text becomes its set of hashed word shingles; equal sets form a class, and everything after works on classes. A
-class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, of PREFIX or as many
-as the size asks for: values ordered by how many sketches hold them, so that common words and shared lines make long
+class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, half of a sketch or as
+many as the size asks for: values ordered by how many sketches hold them, so that common words and shared lines make long
 lists only for texts of little else. Two sets at or over the threshold share such a value: for sets that fit a sketch
 this is the prefix filter and certain, for larger ones it fails with the chance that half of a sketch is unshared, near
 1e-8.
 
 A list is not expanded into all its pairs. Each member is compared with two pivots of the list, its smallest set and its
-first class; after components are known, members of one list in different components are compared too, and pairs inside a
-component need no look, as they could join nothing. A pair's similarity is estimated on the union sketch, which for sets
-that fit a sketch is exact, and counted on the full sets where the estimate is not far below the threshold. Components
-come from alternating stars. Nothing is collected to the driver.
+first class. A class is undecided if a list holds another one that it may be like, in another component; a semi-join
+finds these without making the pairs. They get sketches of WIDE values and lists of their own, and ROUNDS times each is
+compared with PIVOTS random members of its lists in other components, which joins most that can be joined. Then all pairs
+of a list that are still in different components are compared; those inside a component could join nothing. A pair's
+similarity is estimated on the union sketch, which for sets that fit a sketch is exact, and counted on the full sets where
+the estimate is not far below the threshold. Components come from alternating stars. Nothing is collected to the driver.
 
 Defined results: text without words (null, empty) is linked with nothing; a text of fewer words than a shingle is one
 shingle; repeated rows are one class; a null id takes part, but names no component unless no other id does; an empty
@@ -34,15 +36,18 @@ from .components import components
 WIDTH = 5
 THRESHOLD = (80, 100)
 SKETCH = 32
-PREFIX = 16
+#: Values in the sketch of an undecided class.
+WIDE = 512
+#: Rounds of comparison with random members of a list, and how many of them a round.
+ROUNDS, PIVOTS = 3, 16
 #: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with a chance near 1e-5, at the threshold itself.
 LEAST_ESTIMATE = 0.5
-#: Values before the first shared one, of two sketches together. At the threshold some 7 are expected; more have a chance near 1e-5.
-MOST_BEFORE = 18
+#: Standard deviations of the number of values before the first shared one, of two sketches together, that are allowed for.
+DEVIATIONS = 4.5
 #: Keys of texts that may be broadcast (16 bytes each); more are joined by a shuffle.
 MOST_BROADCAST = 1_000_000
 #: Bytes of full sets that may be broadcast; more are joined by a shuffle.
-MOST_SET_BYTES = 48 << 20
+MOST_SET_BYTES = 16 << 20
 #: Hashes of words that a worker remembers.
 REMEMBERED = 1 << 17
 
@@ -89,12 +94,13 @@ def _sketches(width: int, size: int):
     return batches
 
 
-def _sets(width: int):
+def _sets(width: int, size: int):
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(width)
         for batch in it:
-            sets = [shingles(t).tobytes() for t in batch.column(1).to_pylist()]
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.binary())], names=["c", "hashes"])
+            sets = [shingles(t) for t in batch.column(2).to_pylist()]
+            lists = pa.array([s[:size] for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), lists, pa.array([s.tobytes() for s in sets], pa.binary())], names=["c", "n", "sketch", "hashes"])
 
     return batches
 
@@ -122,77 +128,121 @@ class NearDuplicates:
     """Classes, links and components of the rows of ``docs``."""
 
     def __init__(self, docs: DataFrame, scratch: Scratch, width: int = WIDTH, threshold: tuple[int, int] = THRESHOLD, doc_id: str = "doc_id", text: str = "text"):
-        self.scratch, self.width, self.threshold = scratch, width, threshold
+        self.scratch, self.width, self.threshold, self.roots = scratch, width, threshold, None
         self.texts = docs.select(F.col(doc_id).alias("doc_id"), row_key(F.col(doc_id), whole(text)).alias("key"), F.col(text).alias("text"))
         schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>"
         self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
         grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
         self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash
 
-    def lists(self) -> DataFrame:
-        """(v, c, n, at): the inverted lists, of values that two classes or more list. ``at``: values of the class before v."""
-        kept = self.classes.select("c", F.explode("sketch").alias("v"))
+    def lists(self, classes: DataFrame, size: int) -> DataFrame:
+        """(v, c, n, at): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
+        kept = classes.select("c", F.explode("sketch").alias("v"))
         held = kept.groupBy("v").agg(F.count("*").alias("held")).where("held > 1")
-        mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # SKETCH at most
-        mine = mine.join(self.classes.select("c", "n"), "c")
-        part = F.when(F.col("n") <= SKETCH, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(PREFIX)
-        alone = F.least(F.col("n"), F.lit(SKETCH)) - F.size("vs")  # values of no other class come first in the order
-        left = F.greatest(F.least(part, F.lit(PREFIX)) - alone, F.lit(0)).cast("int")
+        mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
+        mine = mine.join(classes.select("c", "n"), "c")
+        fits = F.col("n") * self.threshold[1] <= F.lit(size * self.threshold[0])  # and so do all sets that may be like it
+        part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(size // 2)
+        alone = F.least(F.col("n"), F.lit(size)) - F.size("vs")  # values of no other class come first in the order
+        left = F.greatest(part - alone, F.lit(0)).cast("int")
         placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at")))
         return mine.select("c", "n", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at")
 
-    def _alike(self, n: Column, at: Column, m: Column, bt: Column) -> Column:
+    def _alike(self, size: int, n: Column, at: Column, m: Column, bt: Column) -> Column:
         """Length and positional filter of two classes of n and m values that meet at places at and bt of a list.
 
-        At the first value they share, what lies before it is in one of them only: exact for sets that fit a sketch.
+        At the first value they share, what lies before it is in one of the two sketches only: exact for sets that fit a
+        sketch. For larger ones it has an expected number at the threshold, which grows as the sizes differ.
         """
         over, under = self.threshold
-        lengths = under * F.least(n, m) >= over * F.greatest(n, m)
+        least, most = F.least(n, m), F.greatest(n, m)
         common = F.least(n - at, m - bt)
         exact = under * common >= over * (n + m - common)
-        return lengths & F.when((n <= SKETCH) & (m <= SKETCH), exact).otherwise(at + bt <= MOST_BEFORE)
-
-    def verify(self, pairs: DataFrame) -> DataFrame:
-        """(a, b, common, together) of those of the distinct ``pairs`` (a, b) at or over the threshold."""
+        before = 2 * size * (1 - (1 + least / most) * (over / (over + under)))
+        likely = at + bt <= before + DEVIATIONS * F.sqrt(before)
+        return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely)
+
+    def _full_sets(self, wanted: DataFrame) -> DataFrame:
+        """(c, n, sketch of WIDE values, hashes) of the classes ``wanted`` (c)."""
+        wanted = self.scratch.keep(wanted.distinct().join(self.classes.select("c", "key", "n"), "c"))
+        sent = F.broadcast(wanted) if wanted.count() <= MOST_BROADCAST else wanted
+        texts = self.texts.select("key", "text").join(sent, "key").select("c", "n", "text")
+        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sketch array<bigint>, hashes binary")
+        kept = self.scratch.keep(sets.dropDuplicates(["c"]))
+        self.scratch.drop(wanted)
+        return kept
+
+    def verify(self, pairs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
+        """(a, b, common, together) of those of the distinct ``pairs`` (a, b) at or over the threshold. ``sets``: the full ones, if there."""
         sketch = self.classes.select("c", "sketch")
         of = lambda side: sketch.select(F.col("c").alias(side), F.col("sketch").alias(f"{side}_sketch"))
         whole_sets = (F.size("a_sketch") < SKETCH) & (F.size("b_sketch") < SKETCH)
         least = F.when(whole_sets, F.lit(self.threshold[0] / self.threshold[1] - 1e-9)).otherwise(LEAST_ESTIMATE)
         likely = self.scratch.keep(pairs.join(of("a"), "a").join(of("b"), "b").where(estimate("a_sketch", "b_sketch") >= least).select("a", "b"))
-        needed = likely.select(F.col("a").alias("c")).union(likely.select(F.col("b").alias("c"))).distinct().join(self.classes.select("c", "key", "n"), "c")
-        needed = self.scratch.keep(needed)
-        n_values, n_sets = needed.agg(F.coalesce(F.sum("n"), F.lit(0)), F.count("*")).first()
-        wanted = F.broadcast(needed) if n_sets <= MOST_BROADCAST else needed
-        texts = self.texts.select("key", "text").join(wanted, "key").select("c", "text").mapInArrow(_sets(self.width), "c bigint, hashes binary")
-        sets = self.scratch.keep(texts.dropDuplicates(["c"]))
+        own = sets is None
+        if own:
+            sets = self._full_sets(likely.select(F.col("a").alias("c")).union(likely.select(F.col("b").alias("c"))))
+        n_values = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
         sent = F.broadcast if 8 * n_values <= MOST_SET_BYTES else lambda t: t  # a set may be in many pairs
         side = lambda s: sent(sets.select(F.col("c").alias(s), F.col("hashes").alias(f"{s}_hashes")))
         full = likely.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_hashes", "b_hashes")
         counted = full.mapInArrow(_common, "a bigint, b bigint, common bigint, together bigint")
         out = self.scratch.keep(counted.where(F.col("common") * self.threshold[1] >= F.col("together") * self.threshold[0]))
-        self.scratch.drop(needed, likely, sets)
+        self.scratch.drop(likely, *([sets] if own else []))
         return out
 
-    def links(self) -> DataFrame:
-        """(a, b, common, together): verified links between classes, enough to connect all that are connected."""
-        lists = self.scratch.keep(self.lists())
-        pivots = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at")).alias("f"), F.min(F.struct("n", "c", "at")).alias("g"))
-        pivots = pivots.select("v", F.explode(F.array(F.struct(F.col("f.c").alias("b"), F.col("f.n").alias("m"), F.col("f.at").alias("bt")), F.struct(F.col("g.c").alias("b"), F.col("g.n").alias("m"), F.col("g.at").alias("bt")))).alias("x")).select("v", "x.b", "x.m", "x.bt")
-        stars = lists.join(pivots, "v").where((F.col("c") != F.col("b")) & self._alike(F.col("n"), F.col("at"), F.col("m"), F.col("bt"))).select(F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b")).distinct()
-        found = self.verify(stars)
-        roots = components(found.select("a", "b"), self.scratch)
-        lists2 = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", F.coalesce("root", "c").alias("r"))
-        open_lists = lists2.groupBy("v").agg(F.min("r").alias("x"), F.max("r").alias("y"), F.min("c").alias("first"), F.min(F.struct("n", "c"))["c"].alias("small")).where("x <> y").select("v", "first", "small")
-        left = self.scratch.keep(lists2.join(open_lists, "v").where("c <> first AND c <> small").select("v", "c", "n", "at", "r"))  # pairs with the pivots are done
-        other = left.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("r").alias("q"))
-        across = left.join(other, "v").where((F.col("c") > F.col("b")) & (F.col("r") != F.col("q")) & self._alike(F.col("n"), F.col("at"), F.col("m"), F.col("bt")))
-        more = self.verify(across.select(F.col("c").alias("a"), "b").distinct())
-        self.scratch.drop(lists, left)
-        return found.union(more)
+    def _rooted(self, lists: DataFrame, roots: DataFrame) -> DataFrame:
+        """The lists that hold classes of different components, with the component r."""
+        rooted = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", F.coalesce("root", "c").alias("r"))
+        mixed = rooted.groupBy("v").agg(F.min("r").alias("x"), F.max("r").alias("y")).where("x <> y").select("v")
+        return self.scratch.keep(rooted.join(mixed, "v"))
+
+    def _across(self, size: int) -> Column:
+        """Of two list entries, (c, n, at, r) and (b, m, bt, q): whether they may be links between components."""
+        return (F.col("c") != F.col("b")) & (F.col("r") != F.col("q")) & self._alike(size, F.col("n"), F.col("at"), F.col("m"), F.col("bt"))
+
+    def links(self) -> Iterator[DataFrame]:
+        """Tables (a, b, common, together) of verified links, enough to connect all that are connected. Leaves ``roots``."""
+        other = lambda lists: lists.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("r").alias("q"))
+        pair = (F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b"))
+        lists = self.scratch.keep(self.lists(self.classes, SKETCH).withColumn("r", F.col("c")))
+        ends = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at", "r")).alias("f"), F.min(F.struct("n", "c", "at", "r")).alias("g"))
+        entry = lambda x: F.struct(*[F.col(f"{x}.{k}").alias(k) for k in ("c", "n", "at", "r")])
+        pivots = ends.select("v", F.explode(F.array(entry("f"), entry("g"))).alias("x")).select("v", "x.*")
+        yield self._join_in(self.verify(lists.join(other(pivots), "v").where(self._across(SKETCH)).select(*pair).distinct()))
+
+        mixed = self._rooted(lists.drop("r"), self.roots)
+        left = mixed.join(ends.select("v", F.col("f.c").alias("first"), F.col("g.c").alias("small")), "v").where("c <> first AND c <> small")  # pairs with the pivots are done
+        left = self.scratch.keep(left.select("v", "c", "n", "at", "r"))
+        on = other(left).withColumnRenamed("v", "w")
+        undecided = left.join(on, (F.col("v") == F.col("w")) & self._across(SKETCH), "left_semi").select("c")
+        sets = self._full_sets(undecided)
+        wide = self.scratch.keep(self.lists(sets, WIDE))
+        self.scratch.drop(lists, mixed, left)
+
+        for turn in range(ROUNDS):
+            mixed = self._rooted(wide, self.roots)
+            drawn = mixed.withColumn("h", F.xxhash64("c", "v", F.lit(turn)))
+            pivots = drawn.groupBy("v", F.pmod("h", F.lit(PIVOTS)).alias("place")).agg(F.min(F.struct("h", "c", "n", "at", "r")).alias("x")).select("v", "x.*")
+            yield self._join_in(self.verify(mixed.join(other(pivots), "v").where(self._across(WIDE)).select(*pair).distinct(), sets))
+            self.scratch.drop(mixed)
+
+        mixed = self._rooted(wide, self.roots)
+        rest = mixed.join(other(mixed), "v").where((F.col("c") > F.col("b")) & self._across(WIDE))
+        yield self._join_in(self.verify(rest.select(*pair).distinct(), sets))
+        self.scratch.drop(wide, mixed, sets)
+
+    def _join_in(self, found: DataFrame) -> DataFrame:
+        """Puts links into the components so far."""
+        edges = found.select("a", "b")
+        self.roots = components(edges if self.roots is None else edges.union(self.roots), self.scratch)
+        return found
 
     def result(self) -> DataFrame:
         """doc_id, key, n_shingles, cid, component, component_id, kept of every row; the class ``cid`` is null without words."""
-        roots = components(self.links().select("a", "b"), self.scratch)
+        for _ in self.links():
+            pass
+        roots = self.roots
         placed = self.classes.select("cid", "rep", "c").join(roots, F.col("c") == F.col("node"), "left").select("cid", "rep", F.coalesce("root", "c").alias("component"))
         least = placed.groupBy("component").agg(F.min("rep").alias("component_id"))
         by_class = placed.join(least, "component").select("cid", "component", "component_id")
