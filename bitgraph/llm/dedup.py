@@ -254,11 +254,14 @@ class NearDuplicates:
 def representatives(docs: DataFrame, scratch: Scratch, doc_id: str = "doc_id", text: str = "text", **options) -> DataFrame:
     """One row of docs from each component, of its smallest id; rows without words all stay, but equal ones once."""
     found = near_duplicates(docs, scratch, doc_id=doc_id, text=text, **options)
-    alone = found.where("cid IS NULL").select("key")
-    one = found.where("cid IS NOT NULL AND kept").groupBy("component").agg(F.min("key").alias("key")).select("key")
-    keyed = docs.withColumn("__key", row_key(F.col(doc_id), whole(text)))
-    chosen = alone.union(one).distinct().withColumnRenamed("key", "__key")
-    return keyed.join(chosen, "__key", "left_semi").dropDuplicates(["__key"]).select(*docs.columns)
+    alone = found.where("cid IS NULL").groupBy("key").agg(F.count("*").alias("times"))
+    by_key = found.where("cid IS NOT NULL AND kept").groupBy("component", "key").agg(F.count("*").alias("times"))
+    one = by_key.groupBy("component").agg(F.min(F.struct("key", "times")).alias("x")).select("x.key", "x.times")
+    chosen = scratch.keep(alone.union(one).groupBy("key").agg(F.max("times").alias("__times")).withColumnRenamed("key", "__key"))
+    sent = F.broadcast(chosen) if chosen.count() <= MOST_BROADCAST else chosen
+    keyed = docs.withColumn("__key", row_key(F.col(doc_id), whole(text))).join(sent, "__key")
+    # only repeated rows are dealt out by key: texts are long
+    return keyed.where("__times = 1").union(keyed.where("__times > 1").dropDuplicates(["__key"])).select(*docs.columns)
 
 
 def near_duplicates(docs: DataFrame, scratch: Scratch, **options) -> DataFrame:
