@@ -77,14 +77,13 @@ add("st_session", partial(_stream, of=lambda s: ingest.sessions(s, "6 hours"), m
 add("st_pairs", partial(_stream, of=lambda s: ingest.pairs(s, 120)), "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 120 MINUTE")
 
 
-@query("st_match", "SELECT e.event_id, concat('event/', x.event_id) AS other FROM events e JOIN events x ON x.user_id = e.user_id WHERE e.event_id < 40")
-def _st_match(spark, sf_dir):
-    """Each of the first events with all events of its user: bindings of a micro-batch against the index."""
+def _st_match(spark, sf_dir, which="true"):
+    """Each event with all events of its user: bindings of a micro-batch against the index. ``which``: a condition on the events."""
     g = open_graph(spark, sf_dir, "activity")
     by = g.lookup(("by", "p"))["by", "p"]
 
     def each(batch):
-        users = batch.where("event_id < 40").select("event_id", F.concat(F.lit("user/"), "user_id").alias("u"))
+        users = batch.where(which).select("event_id", F.concat(F.lit("user/"), "user_id").alias("u"))
         ids = g.encode_constants(users, {"u": "o"})
         found = g.index().match_batch(ids.select(F.col("u").alias("o_id"), F.lit(by).cast("bigint").alias("p_id")))
         rows = ids.join(found, ids["u"] == found["o_id"]).select("event_id", F.col("s_id").alias("other"))
@@ -93,4 +92,7 @@ def _st_match(spark, sf_dir):
     return _stream(spark, sf_dir, lambda s: s, each=each)
 
 
+_MATCH = "SELECT e.event_id, concat('event/', x.event_id) AS other FROM events e JOIN events x ON x.user_id = e.user_id"
+add("st_match", partial(_st_match, which="event_id < 40"), f"{_MATCH} WHERE e.event_id < 40")
+add("st_match_whole", _st_match, _MATCH)
 add("st_degrees", partial(_stream, of=ingest.degrees, mode="update"), "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")
