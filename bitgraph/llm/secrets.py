@@ -1,8 +1,9 @@
 """Secret scans with multipart credential linking.
 
 Base patterns find assigned secrets, access identifiers and long hexadecimal strings. Weak parts (identifiers, random
-looking strings, endpoints) count only together: within a scope, an interval join pairs each identifier with the
-random strings near it, and endpoints near such a pair join it. A lone weak part is never reported.
+looking strings, endpoints) count only together: an identifier is paired with the random strings of its scope, however
+far apart and however long, and the endpoints of a scope with such a pair join it. A scope ends at a blank line. A lone
+weak part is never reported.
 
 Defined results: null text is empty and has no spans; repeated rows are scanned each by itself; an empty table gives an
 empty result; other columns pass through unless named like a result. Positions are code points, ends exclusive. A text of
@@ -14,7 +15,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
-from bisect import bisect_left, bisect_right
+from bisect import bisect_right
 from collections.abc import Iterator
 
 import pyarrow as pa
@@ -28,11 +29,10 @@ ACCESS = re.compile(r"AKIA[A-Z0-9]+")
 HEX = re.compile(r"[0-9a-f]{16,}")
 MIN_ASSIGN, MIN_ACCESS = 12, 18
 
-WEAK_ID = re.compile(r"""\b(?:access|account|client|user|app)[_-]?(?:key[_-]?)?id["']?\x20*[:=]\x20*["']?([A-Za-z0-9_.@-]{4,64})""", re.ASCII | re.IGNORECASE)
+WEAK_ID = re.compile(r"""\b(?:access|account|client|user|app)[_-]?(?:key[_-]?)?id["']?\x20*[:=]\x20*["']?([A-Za-z0-9_.@-]{4,})""", re.ASCII | re.IGNORECASE)
 ENDPOINT = re.compile(r"""\b(?:https?|ftp|s3|amqp|postgres(?:ql)?|mysql|mongodb|redis)://[^\s"'<>]{4,}""", re.ASCII)
-RANDOM = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,128}(?![A-Za-z0-9+/_=-])", re.ASCII)
-#: Parts this many code points apart, in one scope, still belong together; scopes end at blank lines.
-REACH = 300
+RANDOM = re.compile(r"(?<![A-Za-z0-9+/_=-])[A-Za-z0-9+/_=-]{20,}(?![A-Za-z0-9+/_=-])", re.ASCII)
+#: What ends a scope.
 SCOPE = re.compile(r"\n[\x20\t]*\n")
 MIN_ENTROPY = 3.5
 
@@ -60,7 +60,7 @@ def looks_random(s: str) -> bool:
 def linked_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Weak parts that co-occur with their complement, as (start, kind, end)."""
     weak_ids = [(m.start(1), m.end(1)) for m in WEAK_ID.finditer(text)] if ":" in text or "=" in text else []
-    ids = sorted(weak_ids + [(s, e) for s, k, e in base if k == 1])
+    ids = weak_ids + [(s, e) for s, k, e in base if k == 1]
     if not ids:
         return []
     ends = [m.start() for m in SCOPE.finditer(text)]
@@ -73,16 +73,14 @@ def linked_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int,
     weak = [(s, e) for s, e in weak if not any(a <= s < b for a, b in hosts)]
 
     def near(parts: list[tuple[int, int]], to: list[tuple[int, int]]) -> list[tuple[int, int]]:
-        """Those of ``parts`` whose interval, widened by REACH, meets one of ``to`` in the same scope."""
-        starts, longest = [s for s, _ in to], max((e - s for s, e in to), default=0)
-        lo = lambda s: bisect_left(starts, s - REACH - longest)
-        hi = lambda e: bisect_right(starts, e + REACH)
-        return [(s, e) for s, e in parts if any(to[i][1] >= s - REACH and scope(to[i][0]) == scope(s) for i in range(lo(s), hi(e)))]
+        """Those of ``parts`` in the same scope as one of ``to``."""
+        scopes = {scope(s) for s, _ in to}
+        return [(s, e) for s, e in parts if scope(s) in scopes]
 
     secrets = near(weak, ids)
-    paired = near(ids, sorted(secrets + strong))
-    linked = [(s, 3, e) for s, e in near(weak_ids, sorted(secrets + strong))] + [(s, 4, e) for s, e in secrets]
-    return linked + [(s, 5, e) for s, e in near(hosts, sorted(paired))]
+    paired = near(ids, secrets + strong)
+    linked = [(s, 3, e) for s, e in near(weak_ids, secrets + strong)] + [(s, 4, e) for s, e in secrets]
+    return linked + [(s, 5, e) for s, e in near(hosts, paired)]
 
 
 def render(spans: list[tuple[int, int, int]]) -> str:

@@ -66,6 +66,17 @@ def test_secrets_base_and_links(spark, odd):
     assert secrets.scan(odd).count() == odd.count() and secrets.scan(odd.limit(0)).count() == 0
 
 
+def test_secrets_of_any_length_and_distance_in_a_scope():
+    weak = "".join(hashlib.sha256(b"%d" % i).hexdigest().replace("0", "Gh") for i in range(4))
+    long_id, words = "user" + "x7" * 60, "some words " * 200
+    for text in (f"client_id: alpha77 {weak} https://db.example.org/x", f"client_id: {long_id} {weak}", f"client_id: alpha77\n{words}\n{weak}\n{words}\nhttps://db.example.org/x"):
+        spans = secrets.linked_spans(text, secrets.base_spans(text))
+        out = secrets.redact(text, secrets.base_spans(text) + spans)
+        kinds = {secrets.KINDS[k] for _, k, _ in spans}
+        assert {"linked_id", "linked_secret"} <= kinds and ("linked_endpoint" in kinds) == ("://" in text)
+        assert not any(x in out for x in ("alpha77", "x7x7", weak[-20:], "example.org"))
+
+
 def brute_contamination(docs, items):
     out = Counter()
     for i, t in docs:
