@@ -48,6 +48,9 @@ CLOSE = {t: re.compile(rf"</{t}\s*>", re.IGNORECASE) for t in RAW}
 NAMED = re.compile(r"""\b(?:class|id|role)\s*=\s*(?:"([^"]*)"|'([^']*)'|([^\s"'>]+))""", re.IGNORECASE)
 HIDDEN = re.compile(r"""(?:^|\s)hidden(?:\s|=|/|$)|aria-hidden\s*=\s*["']?true|display\s*:\s*none""", re.IGNORECASE)
 PARTS = re.compile(r"[a-z]+")
+#: Letters of scripts that are written without spaces, and Latin letters.
+UNSPACED = re.compile("[\u0e00-\u0eff\u1000-\u109f\u1780-\u17ff\u3040-\u30ff\u3400-\u9fff\uf900-\ufaff\U00020000-\U0003ffff]")
+LATIN = re.compile("[A-Za-z\u00aa\u00ba\u00c0-\u024f\u1e00-\u1eff]")
 NOT_LETTERS = re.compile(r"[\W\d_]+")
 _BLOCK, _OUT, _HINTS = frozenset(BLOCK), frozenset(OUT), frozenset(HINTS)
 VOID = frozenset("hr br".split())
@@ -132,13 +135,41 @@ def blocks_of(page: str) -> list[Block]:
     return out
 
 
-def first_pass(b: Block) -> bool | None:
+def n_words(text: str) -> int:
+    """Words of a text; of scripts without spaces, two characters count as one."""
+    return max(len(text.split()), len(UNSPACED.findall(text)) // 2)
+
+
+def stop_share(text: str) -> float:
+    words = [NOT_LETTERS.sub("", w) for w in text.lower().split()]
+    return sum(w in STOP for w in words) / max(1, len(words))
+
+
+def is_long(b: Block) -> bool:
+    """Whether a block's own words can decide."""
+    return not b.out and b.link_chars <= LINKED * len(b.text) and not b.text.startswith("©") and n_words(b.text) >= SHORT_WORDS
+
+
+def of_other_script(text: str) -> bool:
+    letters = sum(map(str.isalpha, text))
+    return 2 * len(LATIN.findall(text)) < letters
+
+
+def in_known_language(blocks: list[Block]) -> bool:
+    """Whether most words of the page's long blocks are in blocks that show the known stop words."""
+    long = [(n_words(b.text), stop_share(b.text) >= STOP_LOW) for b in blocks if is_long(b)]
+    return 2 * sum(n for n, known in long if known) >= sum(n for n, _ in long)
+
+
+def first_pass(b: Block, known: bool = True) -> bool | None:
+    """``known``: the page is in a language whose stop words are listed. In any other one, length and links decide."""
     if b.out or b.link_chars > LINKED * len(b.text):
         return False
-    words = [NOT_LETTERS.sub("", w) for w in b.text.lower().split()]
-    if b.text.startswith("©") or len(words) < SHORT_WORDS:
+    if not is_long(b):
         return None
-    stop = sum(w in STOP for w in words) / len(words)
+    if not known or of_other_script(b.text):
+        return True
+    stop = stop_share(b.text)
     if stop >= STOP_HIGH or stop >= STOP_LOW and len(b.text) >= LONG:
         return True
     return None if b.article or stop >= STOP_LOW else False
@@ -175,8 +206,9 @@ def second_pass(blocks: list[Block]) -> None:
 
 def extract(page: str | None) -> str:
     blocks = blocks_of(page or "")
+    known = in_known_language(blocks)
     for b in blocks:
-        b.good = first_pass(b)
+        b.good = first_pass(b, known)
     second_pass(blocks)
     return "\n".join(b.text for b in blocks if b.good)
 

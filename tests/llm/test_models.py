@@ -96,6 +96,22 @@ def tokens(t):
     return re.findall(r"[^\x20\x09-\x0D]+", re.sub("[A-Z]", lambda m: m[0].lower(), t or "")) + [None]
 
 
+def test_pages_in_any_language():
+    texts = [
+        "Wczoraj wieczorem mieszkańcy miasteczka zebrali się przed ratuszem, żeby wspólnie obejrzeć przedstawienie przygotowane przez młodzież.",
+        "Вчера вечером жители города собрались перед ратушей, чтобы вместе посмотреть представление, которое подготовили школьники.",
+        "Dün akşam kasaba halkı belediye binasının önünde toplandı ve gençlerin hazırladığı gösteriyi birlikte izledi.",
+        "昨日の夕方、町の人々は市役所の前に集まり、若者たちが準備した芝居を一緒に見ました。とても楽しい夜でした。",
+        "The people of the town met in front of the hall in the evening to see the play that the pupils had made.",
+    ]
+    links = "<div>" + "".join(f"<a href='/{i}'>pozycja menu numer {i}</a> " for i in range(9)) + "</div>"
+    for t in texts:
+        assert html.extract(f"<body><nav>{t}</nav>{links}<div><p>{t}</p><p>{t}</p></div><footer>{t}</footer></body>") == f"{t}\n{t}"
+    words = "alpha beta gamma delta epsilon zeta eta theta iota"
+    assert html.extract(f"<body><div>{words}</div><div>{texts[4]}</div></body>") == texts[4]
+    assert html.extract(f"<body><div>{texts[4]}</div><div>{texts[4]}</div><div>{texts[1]}</div><div>{texts[3]}</div></body>") == "\n".join([texts[4], texts[4], texts[1], texts[3]])
+
+
 def test_lm_base_and_known(spark, docs, odd):
     both = docs.select("doc_id", "text").union(odd.select("doc_id", "text"))
     train = both.where(~queries.fold(10))
