@@ -1,11 +1,12 @@
 """Near-duplicate detection with bottom-k sketches from one hash function.
 
 Every text becomes its set of hashed word shingles; equal sets form a class, and everything after works on classes. A
-class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, half of a sketch or as
+class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, LISTED of a sketch or as
 many as the size asks for: values ordered by how many sketches hold them, so that common words and shared lines make long
 lists only for texts of little else. Two sets at or over the threshold share such a value: for sets that fit a sketch
-this is the prefix filter and certain, for larger ones it fails with the chance that half of a sketch is unshared, near
-1e-8.
+this is the prefix filter and certain, for larger ones it fails with the chance that LISTED of a sketch is unshared. Of two
+sketches as many values of one as of the other are unshared, so the two places of a shared value are bounded each by
+itself, and by the case in which one set contains the other, where most values are unshared.
 
 A list is not expanded into all its pairs. Each member is compared with two pivots of the list, its smallest set and its
 first class. A class is undecided if a list holds another one that it may be like, in another component; a semi-join
@@ -40,10 +41,12 @@ SKETCH = 32
 WIDE = 512
 #: Rounds of comparison with random members of a list, and how many of them a round.
 ROUNDS, PIVOTS = 3, 16
-#: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with a chance near 1e-5, at the threshold itself.
-LEAST_ESTIMATE = 0.5
-#: Standard deviations of the number of values before the first shared one, of two sketches together, that are allowed for.
-DEVIATIONS = 4.5
+#: Share of a sketch that is listed for sets larger than it.
+LISTED = (3, 4)
+#: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with the chance that 22 values or more of 32 are unshared.
+LEAST_ESTIMATE = 0.34
+#: Standard deviations of the number of unshared values of a sketch that are allowed for.
+DEVIATIONS = 6.5
 #: Keys of texts that may be broadcast (16 bytes each); more are joined by a shuffle.
 MOST_BROADCAST = 1_000_000
 #: Bytes of full sets that may be broadcast; more are joined by a shuffle.
@@ -142,7 +145,7 @@ class NearDuplicates:
         mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
         mine = mine.join(classes.select("c", "n"), "c")
         fits = F.col("n") * self.threshold[1] <= F.lit(size * self.threshold[0])  # and so do all sets that may be like it
-        part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(size // 2)
+        part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(size * LISTED[0] // LISTED[1])
         alone = F.least(F.col("n"), F.lit(size)) - F.size("vs")  # values of no other class come first in the order
         left = F.greatest(part - alone, F.lit(0)).cast("int")
         placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at")))
@@ -152,14 +155,14 @@ class NearDuplicates:
         """Length and positional filter of two classes of n and m values that meet at places at and bt of a list.
 
         At the first value they share, what lies before it is in one of the two sketches only: exact for sets that fit a
-        sketch. For larger ones it has an expected number at the threshold, which grows as the sizes differ.
+        sketch. For larger ones its expected number in each, at the threshold, is that of the larger set's own values.
         """
         over, under = self.threshold
         least, most = F.least(n, m), F.greatest(n, m)
         common = F.least(n - at, m - bt)
         exact = under * common >= over * (n + m - common)
-        before = 2 * size * (1 - (1 + least / most) * (over / (over + under)))
-        likely = at + bt <= before + DEVIATIONS * F.sqrt(before)
+        own = 1 - (1 + least / most) * (over / (over + under))  # share of the larger set's values that the other lacks
+        likely = F.greatest(at, bt) <= size * own + DEVIATIONS * F.sqrt(size * own * (1 - own))
         return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely)
 
     def _full_sets(self, wanted: DataFrame) -> DataFrame:

@@ -8,7 +8,7 @@ import pytest
 
 from bitgraph.llm.common import Scratch
 from bitgraph.llm.components import components
-from bitgraph.llm.dedup import near_duplicates
+from bitgraph.llm.dedup import Shingler, near_duplicates
 
 
 def shingle_set(text, width):
@@ -60,6 +60,17 @@ def test_components_equal_all_pairs(spark, docs, odd, width):
     assert Counter(map(tuple, got)) == brute(rows, width)
 
 
+def test_a_text_and_its_longer_copy_meet_at_every_number_of_unshared_values(spark):
+    rng, rows = random.Random(3), []
+    for u in range(14, 22):
+        words = [f"w{u}x{i}" for i in range(500)]
+        words.sort(key=lambda w: int(Shingler(1)(w)[0]))
+        low, high = rng.sample(range(32), u), rng.sample(range(32, 500), 100 - u)
+        rows += [(2 * u, " ".join(words)), (2 * u + 1, " ".join(w for i, w in enumerate(words) if i not in {*low, *high}))]
+    got = near_duplicates(spark.createDataFrame(rows, "doc_id long, text string"), Scratch(spark), width=1).collect()
+    assert {r.doc_id: r.component_id for r in got} == {i: i // 2 * 2 for i, _ in rows}
+
+
 def test_empty(spark, docs):
     assert near_duplicates(docs.limit(0), Scratch(spark)).count() == 0
 
