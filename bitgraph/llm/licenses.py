@@ -6,6 +6,9 @@ that reaches the threshold must hold one of a template's first tokens (prefix fi
 and from the first common token on enough tokens on both sides (positional filter). What passes is counted exactly.
 Templates are parameters, so that they alone bound what is broadcast. All of it is DataFrame expressions.
 
+A notice that is wrapped over lines or runs over sentences has no such block. ``window_join`` finds it in any run of words
+of a template's length, with room for SLACK, whatever stands between the words.
+
 Defined results: null text is empty, has no words and no labels; equal rows get equal results; an empty table gives an
 empty result; columns of other names are dropped.
 """
@@ -42,6 +45,8 @@ TEMPLATES = (
     ("mpl-2", "this source code form is subject to the terms of the mozilla public license v 2 0"),
 )
 CONTAINMENT = Fraction(4, 5)
+#: Words of a window for each word of a template.
+SLACK = Fraction(5, 4)
 #: A block ends at a line's end, or behind a sentence's last mark and white space.
 BLOCK_END = r"\n|(?<=[.!?;])[\x20\t\r]+"
 
@@ -51,6 +56,11 @@ class Template:
     id: int
     label: str
     tokens: frozenset[str]
+    n_words: int
+
+    @property
+    def width(self) -> int:
+        return ceil(SLACK * self.n_words)
 
     @property
     def need(self) -> int:
@@ -62,7 +72,7 @@ class Template:
 
 
 def make_templates(pairs=TEMPLATES) -> list[Template]:
-    return [Template(i, label, frozenset(text.split())) for i, (label, text) in enumerate(pairs)]
+    return [Template(i, label, frozenset(text.split()), len(text.split())) for i, (label, text) in enumerate(pairs)]
 
 
 def phrase_starts(words: str, joined: str, phrases: dict[str, str] = PHRASES) -> Column:
@@ -114,12 +124,41 @@ def containment_join(docs: DataFrame, templates: list[Template], rank: dict[str,
     return near.select(*key, "block", "template", "label", F.size("common").alias("common"), (F.size("common") / F.col("n_t")).alias("containment"))
 
 
-def scan(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", templates: list[Template] | None = None) -> DataFrame:
-    """doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score (best containment, 1 with a phrase)."""
+def window_join(docs: DataFrame, templates: list[Template], rank: dict[str, int], key: list[str], text: str = "text") -> DataFrame:
+    """(*key, label, containment) of every text and template with a window that holds enough of the template's tokens.
+
+    Only texts that hold as many of a template's tokens at all have their windows looked at, one from each such token.
+    """
+    spark = docs.sparkSession
+    rows = [(t.id, t.label, sorted(t.tokens), len(t.tokens), t.need, t.width) for t in templates]
+    sent = F.broadcast(spark.createDataFrame(rows, "template int, label string, tokens array<string>, n_t int, need int, width int"))
+    first = sorted({x for t in templates for x in t.prefix(rank)})
+    words = docs.select(*key, alnum_words(whole(text)).alias("w"))
+    words = words.where(F.arrays_overlap("w", F.array(*[F.lit(x) for x in first]))).withColumn("mine", F.array_intersect("w", F.array(*[F.lit(x) for x in rank])))
+    pairs = words.join(sent, F.size(F.array_intersect("mine", "tokens")) >= F.col("need"))
+    at = F.transform("w", lambda x, i: F.when(F.array_contains("tokens", x), F.struct(i.alias("i"), x.alias("x"))))
+    pairs = pairs.select(*key, "label", "n_t", "need", "width", F.filter(at, lambda h: h.isNotNull()).alias("hits"))
+
+    def held(h: Column, k: Column) -> Column:
+        window = F.filter(F.slice("hits", k + 1, F.col("width")), lambda g: g["i"] < h["i"] + F.col("width"))
+        return F.size(F.array_distinct(F.transform(window, lambda g: g["x"])))
+
+    most = pairs.select(*key, "label", "n_t", "need", F.array_max(F.transform("hits", held)).alias("most")).where(F.col("most") >= F.col("need"))
+    return most.select(*key, "label", (F.col("most") / F.col("n_t")).alias("containment"))
+
+
+def scan(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", templates: list[Template] | None = None, windows: bool = False) -> DataFrame:
+    """With ``windows``, templates are also looked for over lines and sentences.
+
+    doc_id, n_words, n_base, first_word, last_word, base_labels, labels, score (best containment, 1 with a phrase).
+    """
     templates = make_templates() if templates is None else templates
     rank = token_order(docs, templates, text)
     keyed = docs.select(F.col(doc_id).alias("doc_id"), F.col(text).alias("text")).withColumn("key", row_key(F.col("doc_id"), whole("text")))
-    pairs = containment_join(keyed, templates, rank, ["key"]).groupBy("key").agg(F.collect_set("label").alias("found"), F.max("containment").alias("best"))
+    pairs = containment_join(keyed, templates, rank, ["key"]).select("key", "label", "containment")
+    if windows:
+        pairs = pairs.union(window_join(keyed, templates, rank, ["key"]))
+    pairs = pairs.groupBy("key").agg(F.collect_set("label").alias("found"), F.max("containment").alias("best"))
     base = keyed.select("doc_id", "key", alnum_words(whole("text")).alias("w")).withColumn("joined", F.concat(F.lit(" "), F.array_join("w", " "), F.lit(" ")))
     base = base.select("doc_id", "key", F.size("w").cast("long").alias("n_words"), phrase_starts("w", "joined").alias("p"))
     base = base.select("*", F.transform("p", lambda x: x["at"]).alias("at"), F.array_distinct(F.transform("p", lambda x: x["label"])).alias("l"))

@@ -13,6 +13,11 @@ def op1_license_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return licenses.scan(table(spark, sf_dir, "documents"))
 
 
+def op1_license_notices(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The license scan with notices wrapped over lines and sentences, which the SQL of op1_license_scans leaves out."""
+    return licenses.scan(table(spark, sf_dir, "documents"), windows=True)
+
+
 def op2_secret_scans(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secrets.scan(table(spark, sf_dir, "documents").select("doc_id", "text")).select("doc_id", "n_assign", "n_access", "n_hex", "base_sha256", "spans")
 
@@ -70,7 +75,7 @@ def op10_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
     return judged.select("doc_id", "n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words", base.alias("base_failed"), (F.col("kept") & ~base).alias("kept"))
 
 
-QUERIES = {"op1_license_scans": op1_license_scans, "op2_secret_scans": op2_secret_scans, "op3_near_dedup": op3_near_dedup, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op5_language_id": op5_language_id, "op7_toxicity": op7_toxicity, "op8_main_text": op8_main_text, "op9_lm_score": op9_lm_score, "op10_quality_rules": op10_quality_rules}
+QUERIES = {"op1_license_scans": op1_license_scans, "op1_license_notices": op1_license_notices, "op2_secret_scans": op2_secret_scans, "op3_near_dedup": op3_near_dedup, "op4_mixing": op4_mixing, "op6_decontamination": op6_decontamination, "op5_language_id": op5_language_id, "op7_toxicity": op7_toxicity, "op8_main_text": op8_main_text, "op9_lm_score": op9_lm_score, "op10_quality_rules": op10_quality_rules}
 
 _UPPER, _LOWER = "ABCDEFGHIJKLMNOPQRSTUVWXYZ", "abcdefghijklmnopqrstuvwxyz"
 _PLAIN = r"[\x20\x09-\x0D]+"

@@ -47,6 +47,37 @@ def test_licenses(spark, docs, odd):
     assert licenses.scan(both.limit(0)).count() == 0
 
 
+def brute_windows(t):
+    w, labels, best = ALNUM.findall(lower(t)), set(), 0.0
+    for tpl in licenses.make_templates():
+        share = max((len(tpl.tokens.intersection(w[i : i + tpl.width])) / len(tpl.tokens) for i in range(len(w))), default=0.0)
+        if share * len(tpl.tokens) > tpl.need - 0.5:
+            labels.add(tpl.label)
+            best = max(best, share)
+    return labels, best
+
+
+def test_notices_over_lines_and_sentences(spark, docs, odd):
+    notices = [
+        ("apache-2", "# You may not use this file except in compliance with the License.\n# You may obtain a copy of the License at\n"),
+        ("mit", "Permission is hereby granted, free of charge, to any person obtaining a copy\nof this software and associated documentation files"),
+        ("bsd", " * Redistribution and use in source and binary forms, with or without\n * modification, are permitted provided that the following conditions\n * are met:"),
+        ("gpl", "This program is free software: you can redistribute it and/or modify\nit under the terms of the GNU General Public License as published"),
+        ("mpl-2", "This Source Code Form is subject to the terms of the Mozilla Public\nLicense, v. 2.0."),
+    ]
+    far = " filler" * 40 + " "
+    more = [(i, f"Some prose.\n{t} and more.") for i, (_, t) in enumerate(notices)] + [(99, far.join(licenses.TEMPLATES[1][1].split()))]
+    both = docs.select("doc_id", "text").union(odd.select("doc_id", "text")).union(spark.createDataFrame([(200_000 + i, t) for i, t in more], "doc_id long, text string"))
+    rows = licenses.scan(both, windows=True).collect()
+    got = {r.doc_id: r.labels for r in rows}
+    assert [got[200_000 + i] for i in range(len(notices))] == [label for label, _ in notices] and got[200_099] == "mit"
+    want = Counter()
+    for r in both.collect():
+        base, (labels, best) = brute_licenses(r.text), brute_windows(r.text)
+        want[r.doc_id, ",".join(sorted({x for x in base[5].split(",") if x} | labels)), max(base[6], best)] += 1
+    assert Counter((r.doc_id, r.labels, r.score) for r in rows) == want
+
+
 def test_secrets_base_and_links(spark, odd):
     key = "AKIA" + "ABCDEFGH12345678"
     weak = "wJalrXUtnFEMI7MDENGbPxRfiCYEXAMPLEKEY"
