@@ -1,20 +1,21 @@
 """Near-duplicate detection with bottom-k sketches from one hash function.
 
 Every text becomes its set of hashed word shingles; equal sets form a class, and everything after works on classes. A
-class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, LISTED of a sketch or as
-many as the size asks for: values ordered by how many sketches hold them, so that common words and shared lines make long
+class keeps its SKETCH smallest hashes. Inverted lists hold, for each class, the rarest kept values, as many as may be
+unshared and one more: values ordered by how many sketches hold them, so that common words and shared lines make long
 lists only for texts of little else. Two sets at or over the threshold share such a value: for sets that fit a sketch
-this is the prefix filter and certain, for larger ones it fails with the chance that LISTED of a sketch is unshared. Of two
+this is the prefix filter and certain, for larger ones it fails if more are unshared than DEVIATIONS allow for. Of two
 sketches as many values of one as of the other are unshared, so the two places of a shared value are bounded each by
-itself, and by the case in which one set contains the other, where most values are unshared.
+itself, and by the case in which one set contains the other, where most values are unshared. A list entry also carries a
+signature of a few bits of its whole set, by which most pairs far below the threshold end before they are made.
 
 A list is not expanded into all its pairs. Each member is compared with two pivots of the list, its smallest set and its
 first class. A class is undecided if a list holds another one that it may be like, in another component; a semi-join
-finds these without making the pairs. They get sketches of WIDE values and lists of their own, and ROUNDS times each is
-compared with PIVOTS random members of its lists in other components, which joins most that can be joined. Then all pairs
-of a list that are still in different components are compared; those inside a component could join nothing. A pair's
-similarity is estimated on the union sketch, which for sets that fit a sketch is exact, and counted on the full sets where
-the estimate is not far below the threshold. Components come from alternating stars. Nothing is collected to the driver.
+finds these without making the pairs. They get sketches of WIDE values, longer signatures and lists of their own, and at
+most ROUNDS times each is compared with PIVOTS random members of its lists in other components, which joins most that can
+be joined. Then all pairs of a list that are still in different components are compared; those inside a component could
+join nothing. A pair's similarity is estimated on the union sketch, which for sets that fit a sketch is exact, and counted
+on the full sets where the estimate is not far below the threshold. Components come from alternating stars. Nothing is collected to the driver.
 
 Defined results: text without words (null, empty) is linked with nothing; a text of fewer words than a shingle is one
 shingle; repeated rows are one class; a null id takes part, but names no component unless no other id does; an empty
@@ -23,6 +24,7 @@ table gives an empty result; columns of other names are dropped.
 
 from __future__ import annotations
 
+import math
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,14 +41,15 @@ THRESHOLD = (80, 100)
 SKETCH = 32
 #: Values in the sketch of an undecided class.
 WIDE = 512
-#: Rounds of comparison with random members of a list, and how many of them a round.
-ROUNDS, PIVOTS = 3, 16
-#: Share of a sketch that is listed for sets larger than it.
-LISTED = (3, 4)
+#: Rounds of comparison with random members of a list, and how many of them a round. A round that joins fewer than one in
+#: FRUITFUL of the undecided classes is the last.
+ROUNDS, PIVOTS, FRUITFUL = 3, 16, 50
 #: Pairs whose estimate on a union sketch of 32 is this far below the threshold are over it with the chance that 22 values or more of 32 are unshared.
 LEAST_ESTIMATE = 0.34
 #: Standard deviations of the number of unshared values of a sketch that are allowed for.
 DEVIATIONS = 6.5
+#: Bits of a signature (a multiple of 64) by the size of the sketch beside it, and the greatest chance that a pair at the threshold fails its test.
+SIGNED, SIGNED_LOSS = {SKETCH: 128, WIDE: 512}, 1e-10
 #: Keys of texts that may be broadcast (16 bytes each); more are joined by a shuffle.
 MOST_BROADCAST = 1_000_000
 #: Bytes of full sets that may be broadcast; more are joined by a shuffle.
@@ -85,14 +88,43 @@ class Shingler:
         return np.unique((mixed ^ (mixed >> np.uint64(32))).view(np.int64))
 
 
+def signature(hashes: np.ndarray, bits: int) -> np.ndarray:
+    """Bits of a sorted set as 64-bit integers: the values fall in as many bins, and the least of a bin gives its bit."""
+    out = np.zeros(bits, np.uint8)
+    least_last = hashes[::-1]
+    out[least_last & (bits - 1)] = (least_last >> 20) & 1  # of equal places the last one written stays
+    return np.packbits(out).view(np.int64)
+
+
+def most_different(over: int, under: int, bits: int) -> int:
+    """Bits that may differ between signatures at the threshold; more do with a chance of at most SIGNED_LOSS.
+
+    The least value of a bin is in one set only with a chance of at most one less the similarity, and then its bit differs
+    every second time.
+    """
+    p, chance, k = (1 - over / under) / 2, 0.0, bits
+    while k:
+        chance += math.comb(bits, k) * p**k * (1 - p) ** (bits - k)
+        if chance > SIGNED_LOSS:
+            break
+        k -= 1
+    return k
+
+
+def _listed(over: int, under: int, size: int) -> int:
+    """Values listed of a sketch of a larger set: one more than may be unshared at the threshold, where a set holds the other."""
+    p = 1 - over / under
+    return min(size, int(size * p + DEVIATIONS * math.sqrt(size * p * (1 - p))) + 1)
+
+
 def _sketches(width: int, size: int):
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(width)
         for batch in it:
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
             cid = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets]
-            lists = pa.array([s[:size] for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([len(s) for s in sets], pa.int64()), pa.array(cid, pa.binary()), lists], names=["doc_id", "key", "n", "cid", "sketch"])
+            lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array([len(s) for s in sets], pa.int64()), pa.array(cid, pa.binary()), lists, signs], names=["doc_id", "key", "n", "cid", "sketch", "sign"])
 
     return batches
 
@@ -102,8 +134,8 @@ def _sets(width: int, size: int):
         shingles = Shingler(width)
         for batch in it:
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
-            lists = pa.array([s[:size] for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), lists, pa.array([s.tobytes() for s in sets], pa.binary())], names=["c", "n", "sketch", "hashes"])
+            lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, lists, pa.array([s.tobytes() for s in sets], pa.binary())], names=["c", "n", "sign", "sketch", "hashes"])
 
     return batches
 
@@ -133,26 +165,26 @@ class NearDuplicates:
     def __init__(self, docs: DataFrame, scratch: Scratch, width: int = WIDTH, threshold: tuple[int, int] = THRESHOLD, doc_id: str = "doc_id", text: str = "text"):
         self.scratch, self.width, self.threshold, self.roots = scratch, width, threshold, None
         self.texts = docs.select(F.col(doc_id).alias("doc_id"), row_key(F.col(doc_id), whole(text)).alias("key"), F.col(text).alias("text"))
-        schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>"
+        schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>, sign array<bigint>"
         self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
-        grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"))
+        grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"))
         self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash
 
     def lists(self, classes: DataFrame, size: int) -> DataFrame:
-        """(v, c, n, at): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
+        """(v, c, n, at, sign): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
         kept = classes.select("c", F.explode("sketch").alias("v"))
         held = kept.groupBy("v").agg(F.count("*").alias("held")).where("held > 1")
         mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
-        mine = mine.join(classes.select("c", "n"), "c")
+        mine = mine.join(classes.select("c", "n", "sign"), "c")
         fits = F.col("n") * self.threshold[1] <= F.lit(size * self.threshold[0])  # and so do all sets that may be like it
-        part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(size * LISTED[0] // LISTED[1])
+        part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(_listed(*self.threshold, size))
         alone = F.least(F.col("n"), F.lit(size)) - F.size("vs")  # values of no other class come first in the order
         left = F.greatest(part - alone, F.lit(0)).cast("int")
         placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at")))
-        return mine.select("c", "n", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at")
+        return mine.select("c", "n", "sign", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at", "sign")
 
-    def _alike(self, size: int, n: Column, at: Column, m: Column, bt: Column) -> Column:
-        """Length and positional filter of two classes of n and m values that meet at places at and bt of a list.
+    def _alike(self, size: int, n: Column, at: Column, sign: Column, m: Column, bt: Column, mark: Column) -> Column:
+        """Length, positional and signature filter of two classes of n and m values that meet at places at and bt of a list.
 
         At the first value they share, what lies before it is in one of the two sketches only: exact for sets that fit a
         sketch. For larger ones its expected number in each, at the threshold, is that of the larger set's own values.
@@ -163,26 +195,32 @@ class NearDuplicates:
         exact = under * common >= over * (n + m - common)
         own = 1 - (1 + least / most) * (over / (over + under))  # share of the larger set's values that the other lacks
         likely = F.greatest(at, bt) <= size * own + DEVIATIONS * F.sqrt(size * own * (1 - own))
-        return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely)
+        bits = SIGNED[size]
+        differ = sum((F.bit_count(sign[i].bitwiseXOR(mark[i])) for i in range(bits // 64)), F.lit(0))
+        return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely) & ((most <= SKETCH) | (differ <= most_different(over, under, bits)))
 
     def _full_sets(self, wanted: DataFrame) -> DataFrame:
-        """(c, n, sketch of WIDE values, hashes) of the classes ``wanted`` (c)."""
+        """(c, n, sign, sketch of WIDE values, hashes) of the classes ``wanted`` (c)."""
         wanted = self.scratch.keep(wanted.distinct().join(self.classes.select("c", "key", "n"), "c"))
         sent = F.broadcast(wanted) if wanted.count() <= MOST_BROADCAST else wanted
         texts = self.texts.select("key", "text").join(sent, "key").select("c", "n", "text")
-        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sketch array<bigint>, hashes binary")
+        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sign array<bigint>, sketch array<bigint>, hashes binary")
         kept = self.scratch.keep(sets.dropDuplicates(["c"]))
         self.scratch.drop(wanted)
         return kept
 
-    def verify(self, pairs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
-        """(a, b, common, together) of those of the distinct ``pairs`` (a, b) at or over the threshold. ``sets``: the full ones, if there."""
+    def _estimated(self, pairs: DataFrame) -> DataFrame:
+        """Those of ``pairs`` that the union sketch does not put far below the threshold."""
         sketch = self.classes.select("c", "sketch")
         of = lambda side: sketch.select(F.col("c").alias(side), F.col("sketch").alias(f"{side}_sketch"))
         whole_sets = (F.size("a_sketch") < SKETCH) & (F.size("b_sketch") < SKETCH)
         least = F.when(whole_sets, F.lit(self.threshold[0] / self.threshold[1] - 1e-9)).otherwise(LEAST_ESTIMATE)
-        likely = self.scratch.keep(pairs.join(of("a"), "a").join(of("b"), "b").where(estimate("a_sketch", "b_sketch") >= least).select("a", "b"))
+        return pairs.join(of("a"), "a").join(of("b"), "b").where(estimate("a_sketch", "b_sketch") >= least).select("a", "b")
+
+    def verify(self, pairs: DataFrame, sets: DataFrame | None = None) -> DataFrame:
+        """(a, b, common, together) of those of the distinct ``pairs`` (a, b) at or over the threshold. ``sets``: the full ones, if there."""
         own = sets is None
+        likely = self.scratch.keep(self._estimated(pairs) if own else pairs)  # the wide signatures told as much
         if own:
             sets = self._full_sets(likely.select(F.col("a").alias("c")).union(likely.select(F.col("b").alias("c"))))
         n_values = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
@@ -196,38 +234,42 @@ class NearDuplicates:
 
     def _rooted(self, lists: DataFrame, roots: DataFrame) -> DataFrame:
         """The lists that hold classes of different components, with the component r."""
-        rooted = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", F.coalesce("root", "c").alias("r"))
+        rooted = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", "sign", F.coalesce("root", "c").alias("r"))
         mixed = rooted.groupBy("v").agg(F.min("r").alias("x"), F.max("r").alias("y")).where("x <> y").select("v")
         return self.scratch.keep(rooted.join(mixed, "v"))
 
     def _across(self, size: int) -> Column:
-        """Of two list entries, (c, n, at, r) and (b, m, bt, q): whether they may be links between components."""
-        return (F.col("c") != F.col("b")) & (F.col("r") != F.col("q")) & self._alike(size, F.col("n"), F.col("at"), F.col("m"), F.col("bt"))
+        """Of two list entries, (c, n, at, sign, r) and (b, m, bt, mark, q): whether they may be links between components."""
+        return (F.col("c") != F.col("b")) & (F.col("r") != F.col("q")) & self._alike(size, F.col("n"), F.col("at"), F.col("sign"), F.col("m"), F.col("bt"), F.col("mark"))
 
     def links(self) -> Iterator[DataFrame]:
         """Tables (a, b, common, together) of verified links, enough to connect all that are connected. Leaves ``roots``."""
-        other = lambda lists: lists.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("r").alias("q"))
+        other = lambda lists: lists.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("sign").alias("mark"), F.col("r").alias("q"))
         pair = (F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b"))
         lists = self.scratch.keep(self.lists(self.classes, SKETCH).withColumn("r", F.col("c")))
-        ends = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at", "r")).alias("f"), F.min(F.struct("n", "c", "at", "r")).alias("g"))
-        entry = lambda x: F.struct(*[F.col(f"{x}.{k}").alias(k) for k in ("c", "n", "at", "r")])
+        ends = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at", "sign", "r")).alias("f"), F.min(F.struct("n", "c", "at", "sign", "r")).alias("g"))
+        entry = lambda x: F.struct(*[F.col(f"{x}.{k}").alias(k) for k in ("c", "n", "at", "sign", "r")])
         pivots = ends.select("v", F.explode(F.array(entry("f"), entry("g"))).alias("x")).select("v", "x.*")
         yield self._join_in(self.verify(lists.join(other(pivots), "v").where(self._across(SKETCH)).select(*pair).distinct()))
 
         mixed = self._rooted(lists.drop("r"), self.roots)
         left = mixed.join(ends.select("v", F.col("f.c").alias("first"), F.col("g.c").alias("small")), "v").where("c <> first AND c <> small")  # pairs with the pivots are done
-        left = self.scratch.keep(left.select("v", "c", "n", "at", "r"))
+        left = self.scratch.keep(left.select("v", "c", "n", "at", "sign", "r"))
         on = other(left).withColumnRenamed("v", "w")
         undecided = left.join(on, (F.col("v") == F.col("w")) & self._across(SKETCH), "left_semi").select("c")
         sets = self._full_sets(undecided)
         wide = self.scratch.keep(self.lists(sets, WIDE))
         self.scratch.drop(lists, mixed, left)
 
-        for turn in range(ROUNDS):
+        turn, n_undecided = 0, sets.count()
+        joined = n_undecided
+        while turn < ROUNDS and joined * FRUITFUL >= n_undecided > 0:
             mixed = self._rooted(wide, self.roots)
             drawn = mixed.withColumn("h", F.xxhash64("c", "v", F.lit(turn)))
-            pivots = drawn.groupBy("v", F.pmod("h", F.lit(PIVOTS)).alias("place")).agg(F.min(F.struct("h", "c", "n", "at", "r")).alias("x")).select("v", "x.*")
-            yield self._join_in(self.verify(mixed.join(other(pivots), "v").where(self._across(WIDE)).select(*pair).distinct(), sets))
+            pivots = drawn.groupBy("v", F.pmod("h", F.lit(PIVOTS)).alias("place")).agg(F.min(F.struct("h", "c", "n", "at", "sign", "r")).alias("x")).select("v", "x.*")
+            found = self._join_in(self.verify(mixed.join(other(pivots), "v").where(self._across(WIDE)).select(*pair).distinct(), sets))
+            turn, joined = turn + 1, found.count()
+            yield found
             self.scratch.drop(mixed)
 
         mixed = self._rooted(wide, self.roots)
