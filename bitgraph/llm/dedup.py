@@ -30,7 +30,7 @@ from collections.abc import Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .common import Scratch, row_key, whole
@@ -135,7 +135,7 @@ def _sets(width: int, size: int):
         for batch in it:
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
             lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, lists, pa.array([s.tobytes() for s in sets], pa.binary())], names=["c", "n", "sign", "sketch", "hashes"])
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, lists, pa.array([s.tobytes() for s in sets], pa.binary()), batch.column(3)], names=["c", "n", "sign", "sketch", "hashes", "many"])
 
     return batches
 
@@ -167,14 +167,14 @@ class NearDuplicates:
         self.texts = docs.select(F.col(doc_id).alias("doc_id"), row_key(F.col(doc_id), whole(text)).alias("key"), F.col(text).alias("text"))
         schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>, sign array<bigint>"
         self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
-        grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"))
+        grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"), (F.count("*") > 1).alias("many"))
         self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash
 
     def lists(self, classes: DataFrame, size: int) -> DataFrame:
         """(v, c, n, at, sign): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
         kept = classes.select("c", F.explode("sketch").alias("v"))
-        held = kept.groupBy("v").agg(F.count("*").alias("held")).where("held > 1")
-        mine = kept.join(held, "v").groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
+        held = kept.withColumn("held", F.count("*").over(Window.partitionBy("v"))).where("held > 1")  # one shuffle, and it spills
+        mine = held.groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
         mine = mine.join(classes.select("c", "n", "sign"), "c")
         fits = F.col("n") * self.threshold[1] <= F.lit(size * self.threshold[0])  # and so do all sets that may be like it
         part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(_listed(*self.threshold, size))
@@ -201,13 +201,16 @@ class NearDuplicates:
 
     def _full_sets(self, wanted: DataFrame) -> DataFrame:
         """(c, n, sign, sketch of WIDE values, hashes) of the classes ``wanted`` (c)."""
-        wanted = self.scratch.keep(wanted.distinct().join(self.classes.select("c", "key", "n"), "c"))
+        wanted = self.scratch.keep(wanted.distinct().join(self.classes.select("c", "key", "n", "many"), "c"))
         sent = F.broadcast(wanted) if wanted.count() <= MOST_BROADCAST else wanted
-        texts = self.texts.select("key", "text").join(sent, "key").select("c", "n", "text")
-        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sign array<bigint>, sketch array<bigint>, hashes binary")
-        kept = self.scratch.keep(sets.dropDuplicates(["c"]))
+        texts = self.texts.select("key", "text").join(sent, "key").select("c", "n", "text", "many")
+        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sign array<bigint>, sketch array<bigint>, hashes binary, many boolean")
+        sets = self.scratch.keep(sets)
+        again = self.scratch.keep(sets.where("many").dropDuplicates(["c"]))  # the key of a repeated row finds it as often
         self.scratch.drop(wanted)
-        return kept
+        out = sets.where("NOT many").union(again).drop("many")
+        out.parts = (sets, again)
+        return out
 
     def _estimated(self, pairs: DataFrame) -> DataFrame:
         """Those of ``pairs`` that the union sketch does not put far below the threshold."""
@@ -229,7 +232,7 @@ class NearDuplicates:
         full = likely.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_hashes", "b_hashes")
         counted = full.mapInArrow(_common, "a bigint, b bigint, common bigint, together bigint")
         out = self.scratch.keep(counted.where(F.col("common") * self.threshold[1] >= F.col("together") * self.threshold[0]))
-        self.scratch.drop(likely, *([sets] if own else []))
+        self.scratch.drop(likely, *(sets.parts if own else ()))
         return out
 
     def _rooted(self, lists: DataFrame, roots: DataFrame) -> DataFrame:
@@ -275,7 +278,7 @@ class NearDuplicates:
         mixed = self._rooted(wide, self.roots)
         rest = mixed.join(other(mixed), "v").where((F.col("c") > F.col("b")) & self._across(WIDE))
         yield self._join_in(self.verify(rest.select(*pair).distinct(), sets))
-        self.scratch.drop(wide, mixed, sets)
+        self.scratch.drop(wide, mixed, *sets.parts)
 
     def _join_in(self, found: DataFrame) -> DataFrame:
         """Puts links into the components so far. Only links between components count, with the roots as nodes."""
