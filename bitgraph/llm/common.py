@@ -48,24 +48,26 @@ def adjacent(a: Column, b: Column, shift: int, size: Column, body) -> Column:
 
 
 def gram_hashes(words: Column, width: int) -> Column:
-    """A 64-bit hash of each run of ``width`` words (2 to 8), from hashes of runs of half the length."""
+    """A 64-bit hash of each run of ``width`` words (2 or more), from hashes of runs of half the length.
+
+    Every array of hashes is named once: an expression that is mentioned twice is computed twice.
+    """
     none = F.array().cast("array<bigint>")
-    n = F.size(words) - (width - 1)
+    mix = lambda a, b: F.xxhash64(a, b)
+
+    def grow(runs: dict[int, Column]) -> Column:
+        have = max(runs)
+        if 2 * have <= width:
+            return let(adjacent(runs[have], runs[have], have, F.size(words) - (2 * have - 1), mix), lambda h: grow(runs | {2 * have: h}))
+        return finish(runs, runs[have], have)
 
-    def build(h: Column) -> Column:
-        runs, have = {1: h}, 1
-        while have * 2 <= width:
-            step = have
-            runs[have * 2] = adjacent(runs[have], runs[have], step, F.size(words) - (2 * step - 1), lambda a, b: F.xxhash64(a, b))
-            have *= 2
-        out = runs[have]
-        while have < width:
-            part = max(k for k in runs if k <= width - have)
-            out = adjacent(out, runs[part], have, F.size(words) - (have + part - 1), lambda a, b: F.xxhash64(a, b))
-            have += part
-        return out
+    def finish(runs: dict[int, Column], out: Column, have: int) -> Column:
+        if have == width:
+            return out
+        part = max(k for k in runs if k <= width - have)
+        return finish(runs, adjacent(out, runs[part], have, F.size(words) - (have + part - 1), mix), have + part)
 
-    return F.when(n < 1, none).otherwise(let(F.transform(words, lambda w: F.xxhash64(w)), build))
+    return F.when(F.size(words) < width, none).otherwise(let(F.transform(words, lambda w: F.xxhash64(w)), lambda h: grow({1: h})))
 
 
 def let(value: Column, body) -> Column:
@@ -74,8 +76,12 @@ def let(value: Column, body) -> Column:
 
 
 def row_key(*cols: Column) -> Column:
-    """A 64-bit key of a row's content, so that repeated ids with different texts stay apart."""
-    return F.xxhash64(*cols)
+    """A 128-bit key of a row's content, so that repeated ids with different texts stay apart."""
+    return F.struct(F.xxhash64(*cols).alias("a"), F.xxhash64(F.lit(1), *cols).alias("b"))
+
+
+#: The type of a row key.
+ROW_KEY = "struct<a:bigint,b:bigint>"
 
 
 def covered(positions: Column, width: int) -> Column:

@@ -2,10 +2,11 @@
 
 A window is a run of WINDOW words of an item (a shorter item is one window). Of every WINDOW - K + 1 consecutive K-gram
 hashes, texts and items keep the smallest, so that a shared window shares a kept hash. Kept hashes of the texts are
-joined with those of the items; a match is extended to the windows around it, which must equal an item's window word by
-word. So each occurrence of each window is found, and nothing else.
+joined with those of the items (items of fewer words by the hash of all their words), which leaves the texts that may hold
+a window. In these a match is extended to the windows around it, which must equal an item's window word by word. So each
+occurrence of each window is found, and nothing else, and words are copied from the few texts only.
 
-What is broadcast is the items' side, behind a count; a larger one is joined by a shuffle.
+What is broadcast is the items' side and the keys of the texts left, behind counts; larger ones are joined by a shuffle.
 
 Defined results: null text has no words and no hits; an item without words has no windows; repeated rows get equal
 results; an empty table on either side gives no hits; columns of other names are dropped.
@@ -16,26 +17,38 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from .common import adjacent, alnum_words, gram_hashes, let, row_key, whole
+from .common import Scratch, adjacent, alnum_words, gram_hashes, let, row_key, whole
 
 WINDOW = 10
 K = 5
 #: Rows of the items' side that may be broadcast (fingerprints of 8 bytes, windows of some 100).
 MOST_FINGERPRINTS = 2_000_000
 MOST_WINDOWS = 200_000
+#: Keys of texts that may be broadcast (16 bytes each).
+MOST_KEYS = 1_000_000
 
 
 def _slide(h: Column, size: Column, width: int, body) -> Column:
     """body (least or greatest) over each run of ``width`` values of h, whose length is ``size``."""
-    def build(a: Column) -> Column:
-        out, have = a, 1
-        while have < width:
-            step = min(have, width - have)
-            out = adjacent(out, out, step, size - (have + step - 1), body)
-            have += step
-        return out
+    def build(a: Column, have: int) -> Column:
+        if have == width:
+            return a
+        step = min(have, width - have)
+        return let(adjacent(a, a, step, size - (have + step - 1), body), lambda x: build(x, have + step))
 
-    return let(h, build)
+    return let(h, lambda a: build(a, 1))
+
+
+def kept_hashes(words: str) -> Column:
+    """Array of the distinct hashes that winnowing keeps. Empty for fewer than WINDOW words."""
+    w = WINDOW - K + 1
+    keep = lambda h: F.array_distinct(_slide(h, F.size(words) - (K - 1), w, lambda a, b: F.least(a, b)))
+    return F.when(F.size(words) < WINDOW, F.array().cast("array<bigint>")).otherwise(let(gram_hashes(F.col(words), K), keep))
+
+
+def run_hashes(words: Column, width: int) -> Column:
+    """Array of a hash of each run of ``width`` words."""
+    return F.transform(words, lambda w: F.xxhash64(w)) if width == 1 else gram_hashes(words, width)
 
 
 def fingerprints(words: str) -> Column:
@@ -74,24 +87,36 @@ def _bounded(df: DataFrame, most: int) -> DataFrame:
     return F.broadcast(df) if df.limit(most + 1).count() <= most else df
 
 
-def hits(docs: DataFrame, items: DataFrame, key: str = "key", text: str = "text", item_id: str = "item_id", item_text: str = "text") -> DataFrame:
+def hits(docs: DataFrame, items: DataFrame, key: str = "key", text: str = "text", item_id: str = "item_id", item_text: str = "text", scratch: Scratch | None = None) -> DataFrame:
     """(key, start, width, items): each place in a text of an item's window, once."""
-    windows = item_windows(items, item_id, item_text)
-    prints = items.select(alnum_words(whole(item_text)).alias("w")).select(F.explode(fingerprints("w")).alias("f")).select(F.col("f.h").alias("h")).distinct()
-    words = docs.select(key, alnum_words(whole(text)).alias("w"))
+    scratch = scratch or Scratch(docs.sparkSession)
+    windows = scratch.keep(item_windows(items, item_id, item_text))
+    item_words = items.select(alnum_words(whole(item_text)).alias("w"))
+    prints = scratch.keep(item_words.select(F.explode(kept_hashes("w")).alias("h")).distinct())
+    widths = [r["width"] for r in windows.where(F.col("width") < WINDOW).select("width").distinct().collect()]  # at most WINDOW - 1
+    short = windows.where(F.col("width") < WINDOW).select(F.split("gram", " ").alias("w"))
+    looked_for = prints
+    for width in widths:
+        looked_for = looked_for.union(short.where(F.size("w") == width).select(F.get(run_hashes(F.col("w"), width), F.lit(0)).alias("h")))
+    found = F.flatten(F.array(kept_hashes("w"), *[F.array_distinct(run_hashes(F.col("w"), width)) for width in widths])) if widths else kept_hashes("w")
+    # an inner explode would compute its array a second time, to filter by its size
+    of_texts = docs.select(key, alnum_words(whole(text)).alias("w")).select(key, F.explode_outer(found).alias("h"))
+    touched = scratch.keep(of_texts.join(_bounded(looked_for, MOST_FINGERPRINTS), "h", "left_semi").select(key).distinct())
+
     reach = WINDOW - K
+    words = docs.select(key, text).join(_bounded(touched, MOST_KEYS), key, "left_semi").select(key, alnum_words(whole(text)).alias("w"))
 
     def around(f: Column) -> Column:
         first = F.greatest(f["at"] - reach, F.lit(0))
         return F.struct(f["h"].alias("h"), first.alias("first"), F.slice("w", first + 1, f["at"] + WINDOW - first).alias("near"))
 
-    kept = words.withColumn("f", fingerprints("w")).select(key, F.explode(F.transform("f", around)).alias("f")).select(key, "f.*")
+    kept = words.withColumn("f", fingerprints("w")).select(key, F.explode_outer(F.transform("f", around)).alias("f")).select(key, "f.*")
     matched = kept.join(_bounded(prints, MOST_FINGERPRINTS), "h", "left_semi")
-    found = matched.select(key, F.explode(windows_of(F.col("near"), F.col("first"), WINDOW)).alias("x"))
-    for width in [r["width"] for r in windows.where(F.col("width") < WINDOW).select("width").distinct().collect()]:  # at most WINDOW - 1
-        found = found.unionByName(words.select(key, F.explode(windows_of(F.col("w"), F.lit(0), width)).alias("x")))
-    found = found.select(key, "x.*").join(_bounded(windows, MOST_WINDOWS), ["gram", "width"])
-    return found.groupBy(key, "start", "width").agg(F.first("items").alias("items"))
+    places = matched.select(key, F.explode_outer(windows_of(F.col("near"), F.col("first"), WINDOW)).alias("x"))
+    for width in widths:
+        places = places.unionByName(words.select(key, F.explode_outer(windows_of(F.col("w"), F.lit(0), width)).alias("x")))
+    equal = places.select(key, "x.*").join(_bounded(windows, MOST_WINDOWS), ["gram", "width"])
+    return equal.groupBy(key, "start", "width").agg(F.first("items").alias("items"))
 
 
 def covered_words(spans: Column) -> Column:

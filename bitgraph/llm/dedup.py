@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import Scratch, row_key, whole
+from .common import ROW_KEY, Scratch, row_key, whole
 from .components import components
 
 WIDTH = 5
@@ -50,7 +50,7 @@ LEAST_ESTIMATE = 0.34
 DEVIATIONS = 6.5
 #: Bits of a signature (a multiple of 64) by the size of the sketch beside it, and the greatest chance that a pair at the threshold fails its test.
 SIGNED, SIGNED_LOSS = {SKETCH: 128, WIDE: 512}, 1e-10
-#: Keys of texts that may be broadcast (16 bytes each); more are joined by a shuffle.
+#: Keys of texts that may be broadcast (24 bytes each); more are joined by a shuffle.
 MOST_BROADCAST = 1_000_000
 #: Bytes of full sets that may be broadcast; more are joined by a shuffle.
 MOST_SET_BYTES = 16 << 20
@@ -165,7 +165,7 @@ class NearDuplicates:
     def __init__(self, docs: DataFrame, scratch: Scratch, width: int = WIDTH, threshold: tuple[int, int] = THRESHOLD, doc_id: str = "doc_id", text: str = "text"):
         self.scratch, self.width, self.threshold, self.roots = scratch, width, threshold, None
         self.texts = docs.select(F.col(doc_id).alias("doc_id"), row_key(F.col(doc_id), whole(text)).alias("key"), F.col(text).alias("text"))
-        schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key bigint, n bigint, cid binary, sketch array<bigint>, sign array<bigint>"
+        schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key {ROW_KEY}, n bigint, cid binary, sketch array<bigint>, sign array<bigint>"
         self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
         grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"), (F.count("*") > 1).alias("many"))
         self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash

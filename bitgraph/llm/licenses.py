@@ -91,7 +91,8 @@ def token_order(docs: DataFrame, templates: list[Template], text: str = "text")
     """Rank of each template token by the number of texts with it, ties by the token. As many rows as template tokens."""
     vocabulary = sorted(set().union(*[t.tokens for t in templates]))
     held = F.array_intersect(alnum_words(whole(text)), F.array(*[F.lit(x) for x in vocabulary]))
-    counts = {r["token"]: r["n"] for r in docs.select(F.explode(held).alias("token")).groupBy("token").agg(F.count("*").alias("n")).collect()}
+    # an inner explode would compute its array a second time, to filter by its size
+    counts = {r["token"]: r["n"] for r in docs.select(F.explode_outer(held).alias("token")).where("token IS NOT NULL").groupBy("token").agg(F.count("*").alias("n")).collect()}
     return {x: i for i, x in enumerate(sorted(vocabulary, key=lambda x: (counts.get(x, 0), x)))}
 
 
@@ -110,7 +111,7 @@ def containment_join(docs: DataFrame, templates: list[Template], rank: dict[str,
 
     lowered = docs.select(*key, lower_ascii(whole(text)).alias("t"))
     held = F.array_intersect(F.split("t", NOT_ALNUM), F.array(*[F.lit(x) for x in first]))
-    blocks = lowered.where(F.size(held) > 0).select(*key, F.posexplode(F.split("t", BLOCK_END)).alias("block", "b"))
+    blocks = lowered.where(F.size(held) > 0).select(*key, F.posexplode_outer(F.split("t", BLOCK_END)).alias("block", "b"))
     mine = F.array_intersect(F.split("b", NOT_ALNUM), vocabulary)
     blocks = blocks.select(*key, "block", mine.alias("mine")).where(F.size("mine") >= least)
     blocks = blocks.select(*key, "block", F.sort_array(F.transform("mine", lambda x: F.element_at(ranks, x))).alias("b_tokens"))

@@ -17,7 +17,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import SPACE, Scratch, row_key, whole
+from .common import SPACE, Scratch, whole
 
 WEIGHTS = (1, 2, 3)
 MOST_COPIES = 3
@@ -59,7 +59,7 @@ def mix(docs: DataFrame, scratch: Scratch, weights: tuple[int, ...] = WEIGHTS, m
     ``importance`` names a positive column that scales a row's inclusion odds; without it they are those of its source.
     """
     scale = F.coalesce(F.col(importance).cast("double"), F.lit(1.0)) if importance else F.lit(1.0)
-    rows = scratch.keep(docs.select("doc_id", "source", *carry, size_of("text").alias("size"), row_key(F.col("doc_id"), F.lit(seed), whole("text")).alias("key"), scale.alias("scale")))
+    rows = scratch.keep(docs.select("doc_id", "source", *carry, size_of("text").alias("size"), F.xxhash64(F.col("doc_id"), F.lit(seed), whole("text")).alias("key"), scale.alias("scale")))
     sized = targets(rows.groupBy("source").agg(F.sum("size").alias("source_size")), weights, most_copies)
     sized = sized.withColumn("ratio", F.when(F.col("source_size") > 0, F.col("target") / F.col("source_size")).otherwise(0.0))
     sized = sized.withColumn("whole", F.least(F.floor("ratio"), F.lit(most_copies))).withColumn("part", F.col("ratio") - F.col("whole"))
