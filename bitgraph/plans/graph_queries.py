@@ -2,10 +2,10 @@
 
 from __future__ import annotations
 
-from functools import partial
+from functools import partial, reduce
 
 import numpy as np
-from pyspark.sql import Window
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bitgraph.catalog import add, query
@@ -221,26 +221,67 @@ def _pattern(shape: str, engine: str, g: Graph):
     return g.match(**{k: f[k] for k in workloads.SHAPES[shape]}, engine=engine_of(g, engine))
 
 
-def _pattern_sql(name: str, shape: str) -> str:
-    on = " AND ".join(f"g.{c} = f.{c}" for c in workloads.SHAPES[shape])
-    return with_graph(name, f"SELECT g.s, g.p, g.o FROM g, ({drawn(1)}) f WHERE {on}")
+def _tagged(parts: dict, tag: str):
+    """The tables of ``parts`` as one, each with its name as ``tag``."""
+    return reduce(DataFrame.unionByName, [df.withColumn(tag, F.lit(name)) for name, df in parts.items()])
+
+
+def _tagged_sql(parts: dict[str, str], tag: str) -> str:
+    return " UNION ALL ".join(f"SELECT *, '{name}' AS {tag} FROM ({sql}) x" for name, sql in parts.items())
+
+
+def _shapes(shapes, engine: str, g: Graph):
+    return _tagged({shape: _pattern(shape, engine, g) for shape in shapes}, "shape")
+
+
+def _shapes_sql(name: str, shapes) -> str:
+    on = {shape: " AND ".join(f"g.{c} = f.{c}" for c in workloads.SHAPES[shape]) for shape in shapes}
+    return with_graph(name, f", f AS ({drawn(1)}) " + _tagged_sql({shape: f"SELECT g.s, g.p, g.o FROM g, f WHERE {c}" for shape, c in on.items()}, "shape"))
+
+
+def _batches(shapes, engine: str, g: Graph):
+    """Each shape for 50 drawn facts at once."""
+    return _tagged({shape: workloads.run_shape(g, shape, 50, engine_of(g, engine)) for shape in shapes}, "shape")
+
+
+def _batches_sql(name: str, shapes) -> str:
+    on = {shape: " AND ".join(f"k.{c} = g.{c}" for c in workloads.SHAPES[shape]) for shape in shapes}
+    return with_graph(name, f", k AS ({drawn(50)}) " + _tagged_sql({shape: f"SELECT g.s, g.p, g.o FROM g WHERE EXISTS (SELECT 1 FROM k WHERE {c})" for shape, c in on.items()}, "shape"))
 
 
 for _shape in workloads.SHAPES:
-    add(f"tp_{_shape}", _g("star", partial(_pattern, _shape, "tree")), _pattern_sql("star", _shape))
-    for _engine in baselines.ENGINES:
-        add(f"bl_{_engine}_{_shape}", _g("activity", partial(_pattern, _shape, _engine)), _pattern_sql("activity", _shape))
-    for _name in ("star", "daily"):
-        add(f"w3_{_shape}_{_name}", _g(_name, partial(lambda shape, g: workloads.run_shape(g, shape, 50), _shape)), with_graph(_name, workloads.shape_sql(_shape, 50)))
-for _shape in ("s", "o", "s_o"):
-    add(f"tp_{_shape}_pidx", _g("daily", partial(_pattern, _shape, "tree_pidx")), _pattern_sql("daily", _shape))
-    add(f"w3_{_shape}_daily_pidx", _g("daily", partial(lambda shape, g: workloads.run_shape(g, shape, 50, engine_of(g, "tree_pidx")), _shape)), with_graph("daily", workloads.shape_sql(_shape, 50)))
+    add(f"tp_{_shape}", _g("star", partial(_pattern, _shape, "tree")), _shapes_sql("star", [_shape]).replace(f", '{_shape}' AS shape", ""))
+for _name in ("star", "daily"):
+    add(f"w3_patterns_{_name}", _g(_name, partial(_batches, workloads.SHAPES, "tree")), _batches_sql(_name, workloads.SHAPES))
+for _engine in baselines.ENGINES:
+    add(f"bl_{_engine}", _g("activity", partial(_shapes, workloads.SHAPES, _engine)), _shapes_sql("activity", workloads.SHAPES))
+_FREE = ("s", "o", "s_o")
+add("tp_pidx", _g("daily", partial(_shapes, _FREE, "tree_pidx")), _shapes_sql("daily", _FREE))
+add("w3_patterns_daily_pidx", _g("daily", partial(_batches, _FREE, "tree_pidx")), _batches_sql("daily", _FREE))
 
 add("tp_all", _g("activity", lambda g: g.match()), with_graph("activity", "SELECT s, p, o FROM g"))
 add("tp_unknown", _g("star", lambda g: g.match(s='"F"')), with_graph("star", "SELECT s, p, o FROM g WHERE s = '\"F\"'"))
-add("tp_range", _g("star", lambda g: g.index().range(s1=100, s2=900, o1=50, o2=400)), with_graph("star", "SELECT s_id, p_id, o_id FROM ids WHERE s_id BETWEEN 100 AND 900 AND o_id BETWEEN 50 AND 400", ids=True))
+
+
+def _middle(g: Graph):
+    """The box round the first drawn fact, half the graph's side each way, over all predicates."""
+    s, _, o = _first(g)
+    half = g.dim // 4
+    return g.index().range(s1=max(1, s - half), s2=s + half, o1=max(1, o - half), o2=o + half)
+
+
+add("tp_range", _g("star", _middle), with_graph("star", f"SELECT ids.s_id, ids.p_id, ids.o_id FROM ids, {_ID1} f, dim WHERE ids.s_id BETWEEN f.s_id - d // 4 AND f.s_id + d // 4 AND ids.o_id BETWEEN f.o_id - d // 4 AND f.o_id + d // 4", ids=True))
 add("tp_batch", _g("star", lambda g: workloads.run_shape(g, "po", 200)), with_graph("star", workloads.shape_sql("po", 200)))
-add("tp_nodes_po", _g("threads", lambda g: node_table.NodeTable(node_table.nodes(g.ids, Schedule.uniform(2, g.dim)), Schedule.uniform(2, g.dim)).match(p=1, o=3)), with_graph("threads", "SELECT s_id, p_id, o_id FROM ids WHERE p_id = 1 AND o_id = 3", ids=True))
+
+
+def _by_nodes(g: Graph):
+    """The column of the last object of the first predicate, by joins of the node table."""
+    schedule = Schedule.uniform(2, g.dim)
+    last = g.ids.where("p_id = 1").agg(F.max("o_id")).first()[0]
+    return node_table.NodeTable(node_table.nodes(g.ids, schedule), schedule).match(p=1, o=last)
+
+
+add("tp_nodes_po", _g("threads", _by_nodes), with_graph("threads", "SELECT s_id, p_id, o_id FROM ids WHERE p_id = 1 AND o_id = (SELECT max(o_id) FROM ids WHERE p_id = 1)", ids=True))
 
 
 def _routed(g: Graph):
@@ -253,21 +294,38 @@ add("tp_batch_routed", _g("activity", _routed), with_graph("activity", "SELECT s
 # Joins -----------------------------------------------------------------------------------------------------------------------
 
 
-def _join(template, strategy, engine, first_only, g: Graph):
-    k = workloads.anchors(g)
-    return workloads.run_join(g, template, engine_of(g, engine), strategy, k.where("i = 1") if first_only else k)
+#: Answers of a join template as rows of equal columns: the variables that it lacks are empty.
+_VARIABLES = ("x", "y", "p", "q")
 
 
-for _n, _t in workloads.TEMPLATES.items():
-    add(f"join_{_n}", _g("star", partial(_join, _t, "auto", "tree", True)), with_graph("star", workloads.join_sql(_t, True), anchors=True))
-    add(f"w4_{_n}_star", _g("star", partial(_join, _t, "auto", "tree", False)), with_graph("star", workloads.join_sql(_t), anchors=True))
-for _n in ("d_ss", "d_oo", "d1_so", "e2_so", "f2_so"):
-    add(f"join_{_n}_merge", _g("star", partial(_join, workloads.TEMPLATES[_n], "merge", "tree", True)), with_graph("star", workloads.join_sql(workloads.TEMPLATES[_n], True), anchors=True))
-for _n in ("b_ss", "e1_so"):
-    add(f"join_{_n}_per_predicate", _g("star", partial(_join, workloads.TEMPLATES[_n], "per_predicate", "tree", True)), with_graph("star", workloads.join_sql(workloads.TEMPLATES[_n], True), anchors=True))
-for _n in ("a_ss", "b_oo", "c_so", "d1_so", "e4_so", "f_ss"):
-    for _engine in ("triple_table", "colpart_os", "six", "slices", "tree_pidx"):
-        add(f"bl_join_{_engine}_{_n}", _g("star", partial(_join, workloads.TEMPLATES[_n], "auto", _engine, False)), with_graph("star", workloads.join_sql(workloads.TEMPLATES[_n]), anchors=True))
+def _joins(names, strategy, engine, g: Graph):
+    """(template, i, x, y, p, q) of each template for ten rows of constants at once."""
+    k = g.scratch.keep(workloads.anchors(g))
+    parts = {}
+    for name in names:
+        found = workloads.run_join(g, workloads.TEMPLATES[name], engine_of(g, engine), strategy, k)
+        parts[name] = found.select("i", *[F.col(v) if v in found.columns else F.lit("").alias(v) for v in _VARIABLES])
+    return _tagged(parts, "template")
+
+
+def _joins_sql(names) -> str:
+    parts = {}
+    for name in names:
+        used = {v[1:] for t in workloads.TEMPLATES[name] for v in t if v.startswith("?")}
+        parts[name] = f"SELECT i, {', '.join(v if v in used else f"'' AS {v}" for v in _VARIABLES)} FROM ({workloads.join_sql(workloads.TEMPLATES[name])}) j"
+    return with_graph("star", _tagged_sql(parts, "template"), anchors=True)
+
+
+_CATEGORIES: dict[str, list[str]] = {}
+for _n in workloads.TEMPLATES:
+    _CATEGORIES.setdefault(f"{_n[0]}_{_n.split('_')[1]}", []).append(_n)
+for _n, _names in _CATEGORIES.items():
+    add(f"w4_{_n}_star", _g("star", partial(_joins, _names, "auto", "tree")), _joins_sql(_names))
+_MERGED, _TAKEN = ("d_ss", "d_oo", "d1_so", "e2_so", "f2_so"), ("a_ss", "b_oo", "c_so", "d1_so", "e4_so", "f_ss")
+add("join_merge", _g("star", partial(_joins, _MERGED, "merge", "tree")), _joins_sql(_MERGED))
+add("join_per_predicate", _g("star", partial(_joins, ("b_ss", "e1_so"), "per_predicate", "tree")), _joins_sql(("b_ss", "e1_so")))
+for _engine in ("triple_table", "colpart_os", "six", "slices", "tree_pidx"):
+    add(f"bl_join_{_engine}", _g("star", partial(_joins, _TAKEN, "auto", _engine)), _joins_sql(_TAKEN))
 
 
 def _plain_join(left, right, g: Graph):
@@ -320,7 +378,7 @@ def _sizes(g: Graph):
     return g.spark.createDataFrame([(e, b, b / n) for e, b in rows], "structure string, n_bits bigint, bits_per_fact double")
 
 
-for _name in GRAPHS:
+for _name in ("star", "activity", "threads"):
     add(f"w2_sizes_{_name}", _g(_name, _sizes))
 for _cut, _name in {"year": "yearly", "month": "monthly", "day": "daily"}.items():
     add(

@@ -29,9 +29,11 @@ for _n, (_text, _sql) in _SPARQL.items():
     add(_n, lambda spark, d, text=_text: sparql.run(open_graph(spark, d, "star"), text), with_graph("star", _sql))
 
 
-@query("udtf_match", with_graph("threads", "SELECT s_id, p_id, o_id FROM ids WHERE p_id = 1 AND o_id = 3", ids=True))
+@query("udtf_match", with_graph("threads", "SELECT s_id, p_id, o_id FROM ids WHERE p_id = 1 AND o_id = (SELECT max(o_id) FROM ids WHERE p_id = 1)", ids=True))
 def _udtf(spark, sf_dir):
-    return surface.triples_match(open_graph(spark, sf_dir, "threads"), None, 1, 3)
+    """The column of the last object of the first predicate."""
+    g = open_graph(spark, sf_dir, "threads")
+    return surface.triples_match(g, None, 1, g.ids.where("p_id = 1").agg(F.max("o_id")).first()[0])
 
 
 @query("ds_match", with_graph("threads", "SELECT s_id, p_id, o_id FROM ids WHERE p_id = 2 AND o_id IN (3, 5, 440, 441)", ids=True))
@@ -77,13 +79,13 @@ add("st_session", partial(_stream, of=lambda s: ingest.sessions(s, "6 hours"), m
 add("st_pairs", partial(_stream, of=lambda s: ingest.pairs(s, 120)), "SELECT a.event_id AS a, b.event_id AS b FROM events a JOIN events b ON a.user_id = b.user_id AND a.event_type = 'view' AND b.event_type = 'click' AND b.ts > a.ts AND b.ts <= a.ts + INTERVAL 120 MINUTE")
 
 
-def _st_match(spark, sf_dir, which="true"):
-    """Each event with all events of its user: bindings of a micro-batch against the index. ``which``: a condition on the events."""
+def _st_match(spark, sf_dir):
+    """Each event with all events of its user: bindings of a micro-batch against the index."""
     g = open_graph(spark, sf_dir, "activity")
     by = g.lookup(("by", "p"))["by", "p"]
 
     def each(batch):
-        users = batch.where(which).select("event_id", F.concat(F.lit("user/"), "user_id").alias("u"))
+        users = batch.select("event_id", F.concat(F.lit("user/"), "user_id").alias("u"))
         ids = g.encode_constants(users, {"u": "o"})
         found = g.index().match_batch(ids.select(F.col("u").alias("o_id"), F.lit(by).cast("bigint").alias("p_id")))
         rows = ids.join(found, ids["u"] == found["o_id"]).select("event_id", F.col("s_id").alias("other"))
@@ -92,7 +94,5 @@ def _st_match(spark, sf_dir, which="true"):
     return _stream(spark, sf_dir, lambda s: s, each=each)
 
 
-_MATCH = "SELECT e.event_id, concat('event/', x.event_id) AS other FROM events e JOIN events x ON x.user_id = e.user_id"
-add("st_match", partial(_st_match, which="event_id < 40"), f"{_MATCH} WHERE e.event_id < 40")
-add("st_match_whole", _st_match, _MATCH)
+add("st_match", _st_match, "SELECT e.event_id, concat('event/', x.event_id) AS other FROM events e JOIN events x ON x.user_id = e.user_id")
 add("st_degrees", partial(_stream, of=ingest.degrees, mode="update"), "SELECT user_id, count(*) AS n FROM events GROUP BY user_id")

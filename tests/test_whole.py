@@ -32,7 +32,7 @@ def test_joins_of_whole_tables(spark, odd_dir, odd):
     alone, lost = [(c, None) for c in customers if c not in of], [(None, o) for c, os in of.items() if c not in customers for o in os]
     want = {"left": inner + alone, "right": inner + lost, "full": inner + alone + lost, "semi": [(c,) for c in customers if c in of], "anti": [(c,) for c, _ in alone]}
     for how, rows in want.items():
-        assert Counter(map(tuple, queries()[f"join_{how}_whole"](spark, d).collect())) == Counter(rows), how
+        assert Counter(map(tuple, queries()[f"join_{how}"](spark, d).collect())) == Counter(rows), how
 
 
 def test_sets_of_whole_columns(spark):
@@ -40,7 +40,7 @@ def test_sets_of_whole_columns(spark):
     a, b = Counter(x for x, _ in rows), Counter(x for _, x in rows)
     want = {"union_all": a + b, "union": Counter({*a, *b}), "intersect": Counter({*a} & {*b}), "intersect_all": a & b, "except": Counter({*a} - {*b}), "except_all": a - b}
     for name, have in want.items():
-        assert Counter(r.k for r in queries()[f"set_{name}_whole"](spark, DATA).collect()) == have, name
+        assert Counter(r.k for r in queries()[f"set_{name}"](spark, DATA).collect()) == have, name
 
 
 def test_null_order_of_all_rows(spark):
@@ -48,7 +48,7 @@ def test_null_order_of_all_rows(spark):
     for i, t in tables(spark, DATA, "labels", "doc_id", "toxic"):
         toxic[i].append(t)
     rows = [(i, t) for i, in tables(spark, DATA, "documents", "doc_id") for t in toxic.get(i, [None])]
-    assert [tuple(r) for r in queries()["sort_nulls_whole"](spark, DATA).collect()] == sorted(rows, key=lambda r: (r[1] is None, r[1] or 0, r[0]))
+    assert [tuple(r) for r in queries()["sort_nulls"](spark, DATA).collect()] == sorted(rows, key=lambda r: (r[1] is None, r[1] or 0, r[0]))
 
 
 def test_every_event_of_a_stream_is_matched(spark):
@@ -56,4 +56,4 @@ def test_every_event_of_a_stream_is_matched(spark):
     for e, u in tables(spark, DATA, "events", "event_id", "user_id"):
         of[u].append(e)
     want = Counter((e, f"event/{x}") for es in of.values() for e in es for x in es)
-    assert Counter(map(tuple, queries()["st_match_whole"](spark, DATA).collect())) == want
+    assert Counter(map(tuple, queries()["st_match"](spark, DATA).collect())) == want
