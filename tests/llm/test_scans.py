@@ -160,10 +160,22 @@ def test_quality(spark, docs, odd):
     both = docs.select("doc_id", "text").union(odd.select("doc_id", "text")).union(more)
     cols = ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")
     cascade = quality.Cascade.fit(both)
-    assert rows_of(cascade.apply(both), "doc_id", *cols) == Counter((r.doc_id, *brute_quality(r.text)) for r in both.collect())
+    assert rows_of(cascade.apply(both, always=cols), "doc_id", *cols) == Counter((r.doc_id, *brute_quality(r.text)) for r in both.collect())
     kept = rows_of(cascade.apply(both), "doc_id", "kept")
     assert kept == rows_of(quality.Cascade(tuple(reversed(cascade.rules))).apply(both), "doc_id", "kept")
     assert quality.Cascade.fit(both.limit(0)).apply(both.limit(0)).count() == 0
+    every = quality.features(both).select("doc_id", *quality.FEATURES)
+    assert rows_of(every, "doc_id", *cols) == rows_of(cascade.apply(both, always=cols), "doc_id", *cols)
+
+
+def test_a_rejected_row_skips_the_counts_of_later_rules(spark):
+    docs = spark.createDataFrame([(1, "one two"), (2, "A B C D E F G H I J K L"), (3, "plain words of a text that is long enough to stay")], "doc_id long, text string")
+    few, shouting, exclaiming = (next(r for r in quality.RULES if r.name == n) for n in ("few_words", "shouting", "exclaiming"))
+    rows = {r.doc_id: r for r in quality.Cascade((few, shouting, exclaiming)).apply(docs).collect()}
+    assert [rows[i].failed_rule for i in (1, 2, 3)] == ["few_words", "shouting", None]
+    assert [rows[i].n_words for i in (1, 2, 3)] == [2, 12, 11]
+    assert [rows[i].n_upper for i in (1, 2, 3)] == [None, 12, 0]
+    assert [rows[i].n_exclaim for i in (1, 2, 3)] == [None, None, 0]
 
 
 def brute_targets(sizes, weights=(1, 2, 3)):
