@@ -33,8 +33,10 @@ def drop_near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> D
 def decontaminate(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops documents with a window of ten words of a benchmark item."""
     keyed = docs.select(*COLUMNS).withColumn("key", row_key(F.col("doc_id"), whole("text")))
-    hit = contamination.hits(keyed, table(spark, sf_dir, "benchmark")).select("key").distinct()
-    return keyed.join(hit, "key", "left_anti").select(*COLUMNS)
+    scratch = Scratch(spark)
+    hit = scratch.keep(contamination.hits(keyed, table(spark, sf_dir, "benchmark"), scratch=scratch).select("key").distinct())
+    sent = F.broadcast(hit) if hit.count() <= contamination.MOST_KEYS else hit
+    return keyed.join(sent, "key", "left_anti").select(*COLUMNS)
 
 
 def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
