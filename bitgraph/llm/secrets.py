@@ -16,7 +16,8 @@ import hashlib
 import math
 import re
 from bisect import bisect_right
-from collections.abc import Iterator
+from collections.abc import Callable, Iterable, Iterator
+from itertools import accumulate
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -57,6 +58,13 @@ def looks_random(s: str) -> bool:
     return bool(re.search(r"[0-9]", s) and re.search(r"[A-Za-z]", s)) and entropy(s) >= MIN_ENTROPY
 
 
+def furthest(spans: Iterable[tuple[int, int]]) -> Callable[[int], int]:
+    """A function of a place: the furthest end of the spans that start there or before, -1 without one."""
+    ordered = sorted(spans)
+    starts, ends = [s for s, _ in ordered], [-1, *accumulate((e for _, e in ordered), max)]
+    return lambda at: ends[bisect_right(starts, at)]
+
+
 def linked_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int, int, int]]:
     """Weak parts that co-occur with their complement, as (start, kind, end)."""
     weak_ids = [(m.start(1), m.end(1)) for m in WEAK_ID.finditer(text)] if ":" in text or "=" in text else []
@@ -66,11 +74,12 @@ def linked_spans(text: str, base: list[tuple[int, int, int]]) -> list[tuple[int,
     ends = [m.start() for m in SCOPE.finditer(text)]
     scope = lambda at: bisect_right(ends, at)
     taken = {(s, e) for s, _, e in base} | set(weak_ids)
-    inside = lambda s, e: any(a <= s and e <= b for a, b in taken)
-    weak = [(m.start(), m.end()) for m in RANDOM.finditer(text) if not inside(m.start(), m.end()) and looks_random(m[0])]
+    reach = furthest(taken)
+    weak = [(m.start(), m.end()) for m in RANDOM.finditer(text) if reach(m.start()) < m.end() and looks_random(m[0])]
     strong = [(s, e) for s, k, e in base if k != 1]
     hosts = [(m.start(), m.end()) for m in ENDPOINT.finditer(text)] if "://" in text else []
-    weak = [(s, e) for s, e in weak if not any(a <= s < b for a, b in hosts)]
+    host = furthest(hosts)
+    weak = [(s, e) for s, e in weak if host(s) <= s]
 
     def near(parts: list[tuple[int, int]], to: list[tuple[int, int]]) -> list[tuple[int, int]]:
         """Those of ``parts`` in the same scope as one of ``to``."""

@@ -136,7 +136,7 @@ def test_lm_contexts_help_and_sum_to_one(spark):
     rows = model.score(df, Scratch(spark)).collect()
     assert all(r.score > 0.4 * r.base_score for r in rows)
     tree = model.tree
-    assert len(tree.two) and tree.suffix.max() > 0
+    assert len(tree.states) > 2 and tree.states[2].any() and tree.suffix.max() > 0
     root = 10 ** tree.root_log(np.arange(len(tree.heads)))
     other = 1 - root.sum()  # words out of the head
     for state in range(len(tree.suffix)):
@@ -145,6 +145,40 @@ def test_lm_contexts_help_and_sum_to_one(spark):
         assert math.isclose(p.sum(), 1, rel_tol=1e-6)
 
 
+def test_lm_scores_are_those_of_the_longest_suffixes(spark):
+    """Each text's score, from the tree's own states but with contexts as tuples and a walk symbol by symbol."""
+    df = spark.read.parquet(f"{SF}/documents.parquet").select("doc_id", "text")
+    model = lm.SuffixTree.fit(df, Scratch(spark))
+    tree, hashes = model.tree, lm.Hasher()
+    number = {int(c): i for i, c in enumerate(tree.context_of) if c >= 0}
+    named = {(i,): tree.states[0][i] for i in [*number, tree.start] if i >= 0}
+    ways = [(i,) for i in range(tree.n_contexts)]
+    for names, states in zip(tree.names, tree.states[1:], strict=False):
+        ways = [(*ways[k // tree.n_contexts], int(k % tree.n_contexts)) for k in names]
+        named |= dict(zip(ways, states, strict=True))
+    assert max(map(len, named)) >= 2
+    spelled = dict(zip(tree.spelled.tolist(), tree.gain.tolist(), strict=True))
+    rows = {r.doc_id: r for r in model.score(df, Scratch(spark)).collect()}
+    for doc in df.collect():
+        symbols, total = tree.symbols(hashes(doc.text)), 0.0
+        line = [tree.start] + [int(tree.context_of[s]) if s >= 0 else -1 for s in symbols]
+        for i, s in enumerate(symbols):
+            back = tuple(line[i::-1][: lm.DEPTH])
+            state = next((int(named[back[:m]]) for m in range(len(back), 0, -1) if -1 not in back[:m] and named.get(back[:m], 0)), 0)
+            while state:
+                g = spelled.get(state * len(tree.heads) + int(s)) if s >= 0 else None
+                total += tree.back[state] if g is None else g
+                state = int(tree.suffix[state]) if g is None else 0
+        r = rows[doc.doc_id]
+        assert math.isclose(r.score - r.base_score, total, abs_tol=1e-6)
+
+
+def test_lm_gathers_more_from_more_text(spark):
+    docs = spark.read.parquet(f"{SF}/documents.parquet").select("text")
+    states = [len(lm.SuffixTree.fit(df, Scratch(spark)).tree.suffix) for df in (docs.where("length(text) < 700"), docs)]
+    assert states[1] > states[0] > 1
+
+
 def test_lm_beats_its_base_on_held_out_text(spark):
     held = queries.op9_lm_score(spark, SF).where("held_out").agg(F.sum("score").alias("s"), F.sum("base_score").alias("b")).first()
     assert held.s > held.b

@@ -192,6 +192,25 @@ def brute_targets(sizes, weights=(1, 2, 3)):
         full |= {s: 3 * sizes[s] for s in over}
 
 
+def test_importance_scales_the_odds_of_inclusion(spark):
+    """Of documents of one size, those of nine times the odds are taken as often as Pareto sampling has it."""
+    df = spark.range(4000).selectExpr("id AS doc_id", "concat('a b c d ', id) AS text", "IF(id % 4 = 0, 'y', 'x') AS source", "IF(id % 2 = 0, 9.0, 1.0) AS weight")
+    rows = mixing.mix(df, Scratch(spark), importance="weight", carry=("weight",)).where("source = 'x'").collect()
+    part = {w: [r.copies for r in rows if r.weight == w] for w in (9.0, 1.0)}
+    often, seldom = (sum(c) / len(c) for c in (part[9.0], part[1.0]))
+    total = (often * len(part[9.0]) + seldom * len(part[1.0])) / len(rows)
+    assert isclose(total, rows[0].target / rows[0].source_size, abs_tol=0.01)
+    assert isclose(often / (1 - often), 9 * seldom / (1 - seldom), rel_tol=0.35)
+
+
+def test_secrets_of_a_long_text_take_linear_time():
+    """Twice the text takes about twice the time, and the spans shift with the scopes."""
+    part = "client_id: abcd1234efgh https://host.example/x Zx81Qw93Er27Ty65Ui40 " * 400
+    once, twice = (secrets.linked_spans(t, secrets.base_spans(t)) for t in (part, part + "\n\n" + part))
+    assert len(twice) == 2 * len(once) > 1000
+    assert twice[len(once) :] != once and {k for _, k, _ in once} == {3, 4, 5}
+
+
 def test_mixing(spark, docs, odd):
     skew = spark.createDataFrame([(10_000 + i, "w " * (i % 50), ["big", "tiny", None, "zz"][i % 97 % 4 if i % 97 < 4 else 0]) for i in range(3000)], "doc_id long, text string, source string")
     for df in (docs, odd, skew):
