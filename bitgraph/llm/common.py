@@ -8,7 +8,9 @@ a locale or a Unicode version.
 from __future__ import annotations
 
 import string
+from collections.abc import Iterator
 
+import pyarrow as pa
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -84,6 +86,14 @@ def row_key(*cols: Column) -> Column:
 ROW_KEY = "struct<a:bigint,b:bigint>"
 
 
+def slices(batches: Iterator[pa.RecordBatch], rows: int = 512) -> Iterator[pa.RecordBatch]:
+    """The batches in pieces of a few rows, so that a worker holds little at once; memory kept for arrays that are gone is given back."""
+    for batch in batches:
+        for at in range(0, batch.num_rows, rows):
+            yield batch.slice(at, rows)
+        pa.default_memory_pool().release_unused()
+
+
 def covered(positions: Column, width: int) -> Column:
     """How many integers the windows [p, p + width) of the sorted distinct positions cover."""
     start = F.struct(F.lit(0).alias("n"), F.lit(-width - 1).alias("last"))

@@ -33,7 +33,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from .common import ROW_KEY, Scratch, row_key, whole
+from .common import ROW_KEY, Scratch, row_key, slices, whole
 from .components import components
 
 WIDTH = 5
@@ -120,7 +120,7 @@ def _listed(over: int, under: int, size: int) -> int:
 def _sketches(width: int, size: int):
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(width)
-        for batch in it:
+        for batch in slices(it):
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
             cid = [xxhash.xxh3_128_digest(s.tobytes()) if len(s) else None for s in sets]
             lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
@@ -132,7 +132,7 @@ def _sketches(width: int, size: int):
 def _sets(width: int, size: int):
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(width)
-        for batch in it:
+        for batch in slices(it):
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
             lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, lists, pa.array([s.tobytes() for s in sets], pa.binary()), batch.column(3)], names=["c", "n", "sign", "sketch", "hashes", "many"])
@@ -142,7 +142,7 @@ def _sets(width: int, size: int):
 
 def _common(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     """(a, b, hashes of a, hashes of b) to (a, b, common, together)."""
-    for batch in it:
+    for batch in slices(it):
         common, together = [], []
         for x, y in zip(batch.column(2), batch.column(3), strict=True):
             p, q = (np.frombuffer(v.as_buffer(), np.int64) for v in (x, y))

@@ -22,6 +22,8 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
+from .common import slices
+
 ORDERS = 3
 BUCKETS = 1 << 15
 ALPHA = 0.5
@@ -106,7 +108,7 @@ class NaiveBayes:
 
         def score(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
             own = NaiveBayes(*model.value)
-            for batch in it:
+            for batch in slices(it):
                 langs, scores = [], []
                 for t in batch.column(len(passed)).to_pylist():
                     if not own.languages or not t or not LETTER.search(t):

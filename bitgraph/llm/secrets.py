@@ -23,6 +23,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import types as T
 
+from .common import slices
+
 KINDS = ("assign", "access", "hex", "linked_id", "linked_secret", "linked_endpoint")
 #: The base patterns; ASCII letters of the first match in either case.
 ASSIGN = re.compile(r"""(password|passwd|secret|token|api_?key)["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII | re.IGNORECASE)
@@ -122,7 +124,7 @@ def scan(docs: DataFrame, text: str = "text", redacted: bool = False) -> DataFra
         raise ValueError(f"no column {text}")
 
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in it:
+        for batch in slices(it):
             rows: list[list] = [[] for _ in fields]
             for t in batch.column(batch.schema.names.index("__scan")).to_pylist():
                 t = t or ""
