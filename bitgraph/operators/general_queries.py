@@ -105,7 +105,7 @@ def _approx(spark, sf_dir):
 
 
 # Windows, order, sets ------------------------------------------------------------------------------------------------------------
-q("win_ranking", "SELECT c_custkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS nt FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_mktsegment, c_custkey)")(lambda t: (lambda w: t.customer.select("c_custkey", F.row_number().over(w).cast("bigint").alias("rn"), F.rank().over(w).cast("bigint").alias("rk"), F.dense_rank().over(w).cast("bigint").alias("dr"), F.ntile(4).over(w).cast("bigint").alias("nt")))(W.partitionBy("c_nationkey").orderBy("c_mktsegment", "c_custkey")))
+q("win_ranking", "SELECT c_custkey, row_number() OVER w AS rn, rank() OVER w AS rk, dense_rank() OVER w AS dr, ntile(4) OVER w AS nt, round(percent_rank() OVER w, 6) AS pr, round(cume_dist() OVER w, 6) AS cd FROM customer WINDOW w AS (PARTITION BY c_nationkey ORDER BY c_mktsegment, c_custkey)")(lambda t: (lambda w: t.customer.select("c_custkey", F.row_number().over(w).cast("bigint").alias("rn"), F.rank().over(w).cast("bigint").alias("rk"), F.dense_rank().over(w).cast("bigint").alias("dr"), F.ntile(4).over(w).cast("bigint").alias("nt"), F.round(F.percent_rank().over(w), 6).alias("pr"), F.round(F.cume_dist().over(w), 6).alias("cd")))(W.partitionBy("c_nationkey").orderBy("c_mktsegment", "c_custkey")))
 q("win_gaps", "SELECT DISTINCT l_partkey, l_suppkey, l_suppkey - lag(l_suppkey) OVER (PARTITION BY l_partkey ORDER BY l_suppkey) AS gap FROM (SELECT DISTINCT l_partkey, l_suppkey FROM lineitem) x")(lambda t: t.lineitem.select("l_partkey", "l_suppkey").distinct().withColumn("gap", F.col("l_suppkey") - F.lag("l_suppkey").over(W.partitionBy("l_partkey").orderBy("l_suppkey"))))
 q("win_running", "SELECT o_orderkey, CAST(sum(o_custkey) OVER (PARTITION BY o_custkey ORDER BY o_orderkey ROWS BETWEEN 2 PRECEDING AND CURRENT ROW) AS BIGINT) AS s FROM orders")(lambda t: t.orders.select("o_orderkey", F.sum("o_custkey").over(W.partitionBy("o_custkey").orderBy("o_orderkey").rowsBetween(-2, 0)).alias("s")))
 q("win_range_frame", "SELECT o_orderkey, count(*) OVER (PARTITION BY o_custkey ORDER BY o_orderkey RANGE BETWEEN 500 PRECEDING AND 500 FOLLOWING) AS n FROM orders")(lambda t: t.orders.select("o_orderkey", F.count("*").over(W.partitionBy("o_custkey").orderBy("o_orderkey").rangeBetween(-500, 500)).alias("n")))

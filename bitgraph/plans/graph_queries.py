@@ -439,3 +439,5 @@ def _top(g: Graph):
 add("topk_per_predicate", _g("star", _top), with_graph("star", "SELECT p_id, o_id, n, rank FROM (SELECT p_id, o_id, count(*) AS n, row_number() OVER (PARTITION BY p_id ORDER BY count(*) DESC, o_id) AS rank FROM ids GROUP BY p_id, o_id) x WHERE rank <= 3", ids=True))
 for _axis, _other, _n in (("s_id", "o_id", "agg_degree_sp"), ("o_id", "s_id", "agg_degree_op")):
     add(_n, _g("star", partial(lambda a, b, g: g.ids.groupBy("p_id", a).agg(F.count(b).alias("degree")).groupBy("p_id", "degree").agg(F.count("*").alias("n")), _axis, _other)), with_graph("star", f"SELECT p_id, degree, count(*) AS n FROM (SELECT p_id, {_axis}, count(*) AS degree FROM ids GROUP BY ALL) x GROUP BY ALL", ids=True))
+add("agg_predicate_counts", _g("daily", lambda g: g.ids.groupBy("p_id").agg(F.count("*").alias("n_facts"), F.countDistinct("s_id").alias("n_subj"), F.countDistinct("o_id").alias("n_obj"))), with_graph("daily", "SELECT p_id, count(*) AS n_facts, count(DISTINCT s_id) AS n_subj, count(DISTINCT o_id) AS n_obj FROM ids GROUP BY p_id", ids=True))
+add("agg_distinct_degree", _g("star", lambda g: g.ids.groupBy("s_id").agg(F.countDistinct("p_id").alias("preds"), F.countDistinct("o_id").alias("objects"), F.count("*").alias("facts"))), with_graph("star", "SELECT s_id, count(DISTINCT p_id) AS preds, count(DISTINCT o_id) AS objects, count(*) AS facts FROM ids GROUP BY s_id", ids=True))
