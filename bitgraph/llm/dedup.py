@@ -282,14 +282,14 @@ class NearDuplicates:
 
     def _join_in(self, found: DataFrame) -> DataFrame:
         """Puts links into the components so far. Only links between components count, with the roots as nodes."""
-        edges, old = found.select("a", "b"), self.roots
+        edges, old, most = found.select("a", "b"), self.roots, found.count()
         if old is None:
-            self.roots = components(edges, self.scratch)
+            self.roots = components(edges, self.scratch, most=most)
             return found
         for side in ("a", "b"):
             root = old.select(F.col("node").alias(side), F.col("root").alias("up"))
             edges = edges.join(root, side, "left").withColumn(side, F.coalesce("up", side)).select("a", "b")
-        merged = components(edges, self.scratch)
+        merged = components(edges, self.scratch, most=most)
         moved = old.join(merged.select(F.col("node").alias("root"), F.col("root").alias("up")), "root", "left").select("node", F.coalesce("up", "root").alias("root"))
         self.roots = self.scratch.keep(moved.union(merged))
         return found
