@@ -166,9 +166,11 @@ class NearDuplicates:
         self.scratch, self.width, self.threshold, self.roots = scratch, width, threshold, None
         self.texts = docs.select(F.col(doc_id).alias("doc_id"), row_key(F.col(doc_id), whole(text)).alias("key"), F.col(text).alias("text"))
         schema = f"doc_id {docs.schema[doc_id].dataType.simpleString()}, key {ROW_KEY}, n bigint, cid binary, sketch array<bigint>, sign array<bigint>"
-        self.rows = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
-        grouped = self.rows.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"), (F.count("*") > 1).alias("many"))
+        sketched = scratch.keep(self.texts.mapInArrow(_sketches(width, SKETCH), schema))
+        grouped = sketched.where("cid IS NOT NULL").groupBy("cid").agg(F.min("doc_id").alias("rep"), F.min("key").alias("key"), F.first("n").alias("n"), F.first("sketch").alias("sketch"), F.first("sign").alias("sign"), (F.count("*") > 1).alias("many"))
         self.classes = scratch.keep(grouped.withColumn("c", F.monotonically_increasing_id()))  # numbers, a third of the bytes of a hash
+        self.rows = scratch.keep(sketched.select("doc_id", "key", "n", "cid"))  # sketches stay with the classes only
+        scratch.drop(sketched)
 
     def lists(self, classes: DataFrame, size: int) -> DataFrame:
         """(v, c, n, at, sign): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
@@ -258,11 +260,12 @@ class NearDuplicates:
         mixed = self._rooted(lists.drop("r"), self.roots)
         left = mixed.join(ends.select("v", F.col("f.c").alias("first"), F.col("g.c").alias("small")), "v").where("c <> first AND c <> small")  # pairs with the pivots are done
         left = self.scratch.keep(left.select("v", "c", "n", "at", "sign", "r"))
+        self.scratch.drop(lists, mixed)
         on = other(left).withColumnRenamed("v", "w")
         undecided = left.join(on, (F.col("v") == F.col("w")) & self._across(SKETCH), "left_semi").select("c")
         sets = self._full_sets(undecided)
+        self.scratch.drop(left)
         wide = self.scratch.keep(self.lists(sets, WIDE))
-        self.scratch.drop(lists, mixed, left)
 
         turn, n_undecided = 0, sets.count()
         joined = n_undecided
