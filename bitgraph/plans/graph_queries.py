@@ -140,6 +140,18 @@ add(
 add("tile_directory", _g("star", lambda g: g.index("k2", "plain", tile_bits=10).directory().select("p_id", "row0", "col0", "n_points", "row_min", "row_max", "col_min", "col_max")), with_graph("star", "SELECT p_id, ((s_id - 1) >> 10) << 10 AS row0, ((o_id - 1) >> 10) << 10 AS col0, count(*) AS n_points, min(s_id - 1) AS row_min, max(s_id - 1) AS row_max, min(o_id - 1) AS col_min, max(o_id - 1) AS col_max FROM ids GROUP BY ALL", ids=True))
 
 
+
+def _interval(g: Graph):
+    """Tiles of each row by containment in a tile's row interval; an interval lies in one band of tiles, so the band is the key."""
+    tiles = g.index("k2", "plain", tile_bits=10).directory().select("p_id", "row0", "row_min", "row_max")
+    rows = g.ids.select("p_id", (F.col("s_id") - 1).alias("subject")).distinct()
+    held = rows.withColumn("row0", F.expr("shiftleft(shiftright(subject, 10), 10)")).join(tiles, ["p_id", "row0"])
+    return held.where(F.col("subject").between(F.col("row_min"), F.col("row_max"))).groupBy("p_id", "subject").agg(F.count("*").alias("n_tiles"))
+
+
+add("join_interval", _g("activity", _interval), with_graph("activity", "SELECT r.p_id, subject, count(*) AS n_tiles FROM (SELECT DISTINCT p_id, s_id - 1 AS subject FROM ids) r JOIN (SELECT p_id, min(s_id - 1) AS low, max(s_id - 1) AS high FROM ids GROUP BY p_id, (s_id - 1) >> 10, (o_id - 1) >> 10) d ON d.p_id = r.p_id AND subject BETWEEN low AND high GROUP BY r.p_id, subject", ids=True))
+
+
 def _dac(spark, _dir, width: int = 8):
     """Codes of symbols round every chunk border, encoded and read back."""
     symbols = np.array([0, 1, 2**width - 1, 2**width, 2 ** (2 * width), 255, 256, 65535, 65536, 123456789])
