@@ -71,6 +71,11 @@ class Graph:
             self._indexes[key] = TreeIndex.build(self.ids, self.dim, self.n_so, self.scratch, schedule, leaf, **options)
         return self._indexes[key]
 
+    def adopt(self, terms: DataFrame, preds: DataFrame, counts: dict[str, int], index: TreeIndex) -> None:
+        """Takes a dictionary and an index that were built elsewhere."""
+        self.__dict__ |= {"_dictionary": (terms, counts), "predicates": preds}
+        self._indexes["hybrid", "auto"] = index
+
     # Terms ---------------------------------------------------------------------------------------------------------------
 
     def lookup(self, *constants: tuple[str, str]) -> dict[tuple[str, str], int]:

@@ -12,7 +12,7 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from bitgraph.functions.bits import Bits, Codes
@@ -138,6 +138,26 @@ class TreeIndex:
         """Tiles in Z-order of their place within a predicate, so that rows and columns of tiles both lie close together."""
         z = cell_code(F.shiftright("row0", self.bits), F.shiftright("col0", self.bits), Schedule.uniform(2, max(2, -(-self.dim >> self.bits) + 1)))
         self.tiles.repartitionByRange("p_id", z).sortWithinPartitions("p_id", z).write.mode("overwrite").parquet(f"{path}/tiles")
+        self._write_header(path)
+
+    def bundles(self, target: int) -> DataFrame:
+        """(p_id, n_points, bundle): neighbouring predicates that share a bundle of some ``target`` points.
+
+        The running sum is over one row a predicate, so the one task of its window holds no facts.
+        """
+        sums = self.tiles.groupBy("p_id").agg(F.sum("n_points").alias("n_points"))
+        before = F.sum("n_points").over(Window.orderBy("p_id").rowsBetween(Window.unboundedPreceding, Window.currentRow)) - F.col("n_points")
+        return sums.withColumn("bundle", F.floor(before / F.lit(target)).cast("bigint"))
+
+    def write_bundled(self, path: str, target: int = MAX_POINTS) -> None:
+        """Like ``write``, with the tiles of a bundle of predicates in the same files; large predicates are dealt by their rows of tiles."""
+        size = self.bundles(target).select("p_id", "bundle", (F.col("n_points") > target).alias("large"))
+        row = F.when(F.col("large"), F.col("row0")).otherwise(F.lit(0))
+        dealt = self.tiles.join(size, "p_id").repartition("bundle", row).sortWithinPartitions("bundle", "p_id", "row0", "col0")
+        dealt.drop("bundle", "large").write.mode("overwrite").parquet(f"{path}/tiles")
+        self._write_header(path)
+
+    def _write_header(self, path: str) -> None:
         self.tiles.sparkSession.createDataFrame([(self.bits, self.dim, self.n_so)], "bits int, dim bigint, n_so bigint").coalesce(1).write.mode("overwrite").parquet(f"{path}/header")
 
     @classmethod

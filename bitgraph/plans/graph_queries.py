@@ -312,32 +312,36 @@ _VARIABLES = ("x", "y", "p", "q")
 
 def _joins(names, strategy, engine, g: Graph):
     """(template, i, x, y, p, q) of each template for ten rows of constants at once."""
-    k = g.scratch.keep(workloads.anchors(g))
+    k = g.scratch.keep(workloads.dated_anchors(g) if g.name == "daily" else workloads.anchors(g))
+    templates = workloads.DATED if g.name == "daily" else workloads.TEMPLATES
     parts = {}
     for name in names:
-        found = workloads.run_join(g, workloads.TEMPLATES[name], engine_of(g, engine), strategy, k)
+        found = workloads.run_join(g, templates[name], engine_of(g, engine), strategy, k)
         parts[name] = found.select("i", *[F.col(v) if v in found.columns else F.lit("").alias(v) for v in _VARIABLES])
     return _tagged(parts, "template")
 
 
-def _joins_sql(names) -> str:
+def _joins_sql(names, graph: str = "star") -> str:
+    templates = workloads.DATED if graph == "daily" else workloads.TEMPLATES
     parts = {}
     for name in names:
-        used = {v[1:] for t in workloads.TEMPLATES[name] for v in t if v.startswith("?")}
-        parts[name] = f"SELECT i, {', '.join(v if v in used else f"'' AS {v}" for v in _VARIABLES)} FROM ({workloads.join_sql(workloads.TEMPLATES[name])}) j"
-    return with_graph("star", _tagged_sql(parts, "template"), anchors=True)
+        used = {v[1:] for t in templates[name] for v in t if v.startswith("?")}
+        parts[name] = f"SELECT i, {', '.join(v if v in used else f"'' AS {v}" for v in _VARIABLES)} FROM ({workloads.join_sql(templates[name])}) j"
+    return with_graph(graph, _tagged_sql(parts, "template"), anchors=True)
 
 
 _CATEGORIES: dict[str, list[str]] = {}
 for _n in workloads.TEMPLATES:
     _CATEGORIES.setdefault(f"{_n[0]}_{_n.split('_')[1]}", []).append(_n)
 for _n, _names in _CATEGORIES.items():
-    add(f"w4_{_n}_star", _g("star", partial(_joins, _names, "auto", "tree")), _joins_sql(_names))
+    for _graph in ("star", "daily"):
+        add(f"w4_{_n}_{_graph}", _g(_graph, partial(_joins, _names, "auto", "tree")), _joins_sql(_names, _graph))
 _MERGED, _TAKEN = ("d_ss", "d_oo", "d1_so", "e2_so", "f2_so"), ("a_ss", "b_oo", "c_so", "d1_so", "e4_so", "f_ss")
 add("join_merge", _g("star", partial(_joins, _MERGED, "merge", "tree")), _joins_sql(_MERGED))
 add("join_per_predicate", _g("star", partial(_joins, ("b_ss", "e1_so"), "per_predicate", "tree")), _joins_sql(("b_ss", "e1_so")))
 for _engine in ("triple_table", "colpart_os", "six", "slices", "tree_pidx"):
     add(f"bl_join_{_engine}", _g("star", partial(_joins, _TAKEN, "auto", _engine)), _joins_sql(_TAKEN))
+add("bl_join_daily_pidx", _g("daily", partial(_joins, _TAKEN, "auto", "tree_pidx")), _joins_sql(_TAKEN, "daily"))
 
 
 def _plain_join(left, right, g: Graph):

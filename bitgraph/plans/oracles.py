@@ -19,7 +19,7 @@ def with_graph(name: str, body: str, ids: bool = False, anchors: bool = False) -
             "dim AS (SELECT greatest(1, n_so + greatest(n_s, n_o)) AS d FROM n)",
         ]
     if anchors:
-        parts += [ANCHORS]
+        parts += [DATED_ANCHORS if name == "daily" else ANCHORS]
     return f"WITH {', '.join(parts)} {body}"
 
 
@@ -32,6 +32,14 @@ k AS (SELECT CAST(row_number() OVER (ORDER BY h) AS BIGINT) AS i, o1, p1,
  (SELECT min(b.s) FROM g b WHERE b.p = 'containsPart' AND b.o = k0.p1 AND b.s <> k0.o1) AS o2 FROM k0)"""
 
 
+#: Ten facts of the daily graph with what lies beside them.
+DATED_ANCHORS = """k0 AS (SELECT CAST(row_number() OVER (ORDER BY md5(concat_ws('|', s, p, o))) AS BIGINT) AS i, s AS o1, p AS d1, o AS p1 FROM g WHERE p LIKE 'shippedOn/%' ORDER BY i LIMIT 10),
+sold AS (SELECT i, min(row(p, o)) AS m FROM k0 JOIN g ON s = p1 WHERE p LIKE 'soldOn/%' GROUP BY i),
+beside AS (SELECT i, min(row(p, o)) AS m FROM k0 JOIN g ON s = o1 WHERE o <> p1 GROUP BY i),
+other AS (SELECT i, min(row(p, s)) AS m FROM k0 JOIN g ON o = p1 WHERE s <> o1 GROUP BY i),
+k AS (SELECT i, o1, d1, p1, sold.m[1] AS d2, sold.m[2] AS s1, beside.m[1] AS d3, beside.m[2] AS p3, other.m[1] AS d4, other.m[2] AS o2 FROM k0 LEFT JOIN sold USING (i) LEFT JOIN beside USING (i) LEFT JOIN other USING (i))"""
+
+
 def drawn(n: int) -> str:
     """The n facts with the smallest hash: a term comes up as often as it is used."""
     return f"SELECT s, p, o FROM g ORDER BY md5(concat_ws('|', s, p, o)) LIMIT {n}"

@@ -41,6 +41,36 @@ TEMPLATES: dict[str, tuple[tuple[str, str, str], tuple[str, str, str]]] = {
     "f2_so": (("?x", "?p", "?y"), ("@o1", "?q", "?x")),
 }
 
+#: The same sub-shapes on the daily graph, where every predicate is a day's; constants of ``dated_anchors``.
+DATED: dict[str, tuple[tuple[str, str, str], tuple[str, str, str]]] = {
+    "a_ss": (("?x", "@d1", "@p1"), ("?x", "@d3", "@p3")),
+    "b_ss": (("?x", "?p", "@p1"), ("?x", "@d3", "@p3")),
+    "c_ss": (("?x", "?p", "@p1"), ("?x", "?q", "@p3")),
+    "d_ss": (("?x", "@d1", "@p1"), ("?x", "@d3", "?y")),
+    "e1_ss": (("?x", "?p", "@p1"), ("?x", "@d3", "?y")),
+    "e2_ss": (("?x", "@d1", "@p1"), ("?x", "?q", "?y")),
+    "f_ss": (("?x", "?p", "@p1"), ("?x", "?q", "?y")),
+    "a_oo": (("@o1", "@d1", "?x"), ("@o2", "@d4", "?x")),
+    "b_oo": (("@o1", "?p", "?x"), ("@o2", "@d4", "?x")),
+    "c_oo": (("@o1", "?p", "?x"), ("@o2", "?q", "?x")),
+    "d_oo": (("@o1", "@d1", "?x"), ("?y", "@d4", "?x")),
+    "e1_oo": (("@o1", "?p", "?x"), ("?y", "@d4", "?x")),
+    "e2_oo": (("@o1", "@d1", "?x"), ("?y", "?q", "?x")),
+    "f_oo": (("@o1", "?p", "?x"), ("?y", "?q", "?x")),
+    "a_so": (("?x", "@d2", "@s1"), ("@o1", "@d1", "?x")),
+    "b1_so": (("?x", "?p", "@s1"), ("@o1", "@d1", "?x")),
+    "b2_so": (("?x", "@d2", "@s1"), ("@o1", "?q", "?x")),
+    "c_so": (("?x", "?p", "@s1"), ("@o1", "?q", "?x")),
+    "d1_so": (("?x", "@d2", "@s1"), ("?y", "@d1", "?x")),
+    "d2_so": (("?x", "@d2", "?y"), ("@o1", "@d1", "?x")),
+    "e1_so": (("?x", "?p", "@s1"), ("?y", "@d1", "?x")),
+    "e2_so": (("?x", "@d2", "@s1"), ("?y", "?q", "?x")),
+    "e3_so": (("?x", "@d2", "?y"), ("@o1", "?q", "?x")),
+    "e4_so": (("?x", "?p", "?y"), ("@o1", "@d1", "?x")),
+    "f1_so": (("?x", "?p", "@s1"), ("?y", "?q", "?x")),
+    "f2_so": (("?x", "?p", "?y"), ("@o1", "?q", "?x")),
+}
+
 #: Outside the categories: both other nodes free.
 GENERAL = {
     "g_ss": (("?x", "inNation", "?y"), ("?x", "segment", "?z")),
@@ -66,6 +96,19 @@ def anchors(graph: Graph, n: int = 10) -> DataFrame:
     return k.join(sold, "i", "left").join(buyer, "i", "left").join(other, "i", "left")
 
 
+def dated_anchors(graph: Graph, n: int = 10) -> DataFrame:
+    """(i, o1, d1, p1, d2, s1, d3, p3, d4, o2) of the daily graph: an order's part on a day, a day when it was sold, another
+    part of the order, and another order with the part; null where there is none, which matches nothing."""
+    g = graph.triples
+    first = [(r["s"], r["p"], r["o"]) for r in g.where("p LIKE 'shippedOn/%'").orderBy(F.md5(F.concat_ws("|", "s", "p", "o"))).limit(n).collect()]
+    k = graph.spark.createDataFrame([(i + 1, *x) for i, x in enumerate(first)] or [(0, "", "", "")], "i bigint, o1 string, d1 string, p1 string").where("i > 0").coalesce(1)
+    least = lambda rows, p, x: rows.groupBy("i").agg(F.min(F.struct("p", "v")).alias("m")).select("i", F.col("m.p").alias(p), F.col("m.v").alias(x))
+    sold = least(k.join(g.where("p LIKE 'soldOn/%'"), F.col("s") == F.col("p1")).select("i", "p", F.col("o").alias("v")), "d2", "s1")
+    beside = least(k.join(g, F.col("s") == F.col("o1")).where("o <> p1").select("i", "p", F.col("o").alias("v")), "d3", "p3")
+    other = least(k.join(g, F.col("o") == F.col("p1")).where("s <> o1").select("i", "p", F.col("s").alias("v")), "d4", "o2")
+    return k.join(sold, "i", "left").join(beside, "i", "left").join(other, "i", "left")
+
+
 def patterns(template: tuple) -> tuple[Pattern, Pattern]:
     return Pattern(*template[0]), Pattern(*template[1])
 

@@ -3,12 +3,16 @@
 from __future__ import annotations
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
-from pyspark.sql.functions import udtf
+from pyspark.sql.functions import pandas_udf, udtf
 
+from bitgraph.functions.bits import Bits, Codes
+from bitgraph.operators import dictionary
 from bitgraph.operators.graph import Graph
 from bitgraph.operators.tiles import PAYLOAD, TreeIndex, _walk_bindings, from_row
 
@@ -31,8 +35,66 @@ class WalkTile:
             yield a, x["p_id"], b
 
 
+# Types are objects here: a type in words needs a session when the module is imported.
+_STATS = T.StructType([T.StructField(c, T.LongType()) for c in ("n_points", "n_t", "n_leaves", "height", "n_bits")])
+_PLANE = T.StructType([T.StructField(c, T.BinaryType()) for c in ("chunks", "more", "rank")])
+_DAC = T.StructType([T.StructField("planes", T.ArrayType(_PLANE)), T.StructField("chunk", T.IntegerType())])
+
+
+@pandas_udf(_STATS)
+def tree_stats(tile: pd.DataFrame) -> pd.DataFrame:
+    """Counts of a tile's tree (a struct of its columns); points are those that a walk finds."""
+    out = []
+    for x in tile.to_dict("records"):
+        tree = from_row(x | {"factors": [int(k) for k in x["factors"]]})
+        side = tree.schedule.side - 1
+        _, r, _, _ = tree.ranges(*np.array([[0], [side], [0], [side]], np.int64))
+        out.append((len(r), int(tree.starts[-1]), tree.n_leaves, len(tree.schedule.bits), tree.n_bits()))
+    return pd.DataFrame(out, columns=["n_points", "n_t", "n_leaves", "height", "n_bits"])
+
+
+def dac_encode(chunk: int = 8):
+    """A function of an array of numbers of 0 and more to directly addressable codes."""
+    @pandas_udf(_DAC)
+    def encode(numbers: pd.Series) -> pd.DataFrame:
+        codes = [Codes.encode(np.asarray(x, np.int64), chunk) for x in numbers]
+        planes = [[{"chunks": c.tobytes(), "more": m.words.tobytes(), "rank": m.directory.tobytes()} for c, m in x.planes] for x in codes]
+        return pd.DataFrame({"planes": planes, "chunk": [chunk] * len(codes)})
+
+    return encode
+
+
+@pandas_udf(T.LongType())
+def dac_get(codes: pd.DataFrame, i: pd.Series) -> pd.Series:
+    """The i-th number of directly addressable codes, from 0, by one access in each plane that it reaches."""
+    bits = lambda p: Bits(np.frombuffer(p["more"], "<u8"), np.frombuffer(p["rank"], "<u4"))
+    one = lambda planes, b, at: int(Codes(b, [(np.frombuffer(p["chunks"], np.uint8), bits(p)) for p in planes]).get(np.array([at]))[0])
+    return pd.Series([one(p, int(b), int(at)) for p, b, at in zip(codes["planes"], codes["chunk"], i, strict=True)], dtype="int64")
+
+
 def register_functions(spark: SparkSession) -> None:
     spark.udtf.register("walk_tile", WalkTile)
+    spark.udf.register("tree_stats", tree_stats)
+    spark.udf.register("dac_get", dac_get)
+
+
+def export_graph(graph: Graph, path: str) -> None:
+    """All that a reader needs: header, tiles, and the dictionary in the order of its terms."""
+    graph.index().write(path)
+    graph.terms.repartitionByRange("role", "term").sortWithinPartitions("role", "term").write.mode("overwrite").parquet(f"{path}/terms")
+    graph.predicates.coalesce(1).write.mode("overwrite").parquet(f"{path}/predicates")
+    c = graph.counts
+    graph.spark.createDataFrame([(graph.name, c["n_so"], c["n_s"], c["n_o"])], "name string, n_so bigint, n_s bigint, n_o bigint").coalesce(1).write.mode("overwrite").parquet(f"{path}/counts")
+
+
+def import_graph(spark: SparkSession, path: str) -> Graph:
+    """A graph that export_graph wrote; facts are read from the tiles, no dictionary is built."""
+    x = spark.read.parquet(f"{path}/counts").first()
+    index, terms, preds = TreeIndex.open(spark, path), spark.read.parquet(f"{path}/terms"), spark.read.parquet(f"{path}/predicates")
+    facts = dictionary.decode(index.match(), terms, preds, {"s_id": "s", "p_id": "p", "o_id": "o"})
+    graph = Graph(spark, facts.select(F.col("s_id").alias("s"), F.col("p_id").alias("p"), F.col("o_id").alias("o")), x["name"])
+    graph.adopt(terms, preds, {k: x[k] for k in ("n_so", "n_s", "n_o")}, index)
+    return graph
 
 
 def triples_match(graph: Graph, s: int | None, p: int | None, o: int | None) -> DataFrame:

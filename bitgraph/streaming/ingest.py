@@ -19,15 +19,22 @@ def events(spark: SparkSession, sf_dir: str) -> DataFrame:
     return stream.withColumn("ts", F.col("ts").cast("timestamp"))
 
 
-def drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each: Callable[[DataFrame], DataFrame] | None = None) -> DataFrame:
+def drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each: Callable[[DataFrame], DataFrame] | None = None, progress: list | None = None) -> DataFrame:
     """What a stream gives until its input is used up.
 
     Each micro-batch overwrites a folder named by its id, so that a batch that runs twice counts once. In complete mode
-    the last folder is the answer, else all are.
+    the last folder is the answer, else all are. ``progress`` takes the reports of the micro-batches.
     """
     scratch.n += 1
     root = f"{scratch.root}/stream{scratch.n}"
-    last = []
+    last = _run(stream, root, mode, each, progress)
+    path = f"{root}/out/batch={last}" if mode == "complete" else f"{root}/out"
+    return stream.sparkSession.read.parquet(path).drop("batch")
+
+
+def _run(stream: DataFrame, root: str, mode: str, each: Callable[[DataFrame], DataFrame] | None, progress: list | None) -> int:
+    """Runs a stream until its input is used up; the id of the last micro-batch."""
+    last = [-1]
 
     def write(df: DataFrame, batch: int) -> None:
         (each(df) if each else df).write.mode("overwrite").parquet(f"{root}/out/batch={batch}")
@@ -35,8 +42,9 @@ def drain(stream: DataFrame, scratch: Scratch, mode: str = "append", each: Calla
 
     run = stream.writeStream.outputMode(mode).trigger(availableNow=True).option("checkpointLocation", f"{root}/checkpoint").foreachBatch(write).start()
     run.awaitTermination()
-    path = f"{root}/out/batch={max(last)}" if mode == "complete" else f"{root}/out"
-    return stream.sparkSession.read.parquet(path).drop("batch")
+    if progress is not None:
+        progress.extend(run.recentProgress)
+    return max(last)
 
 
 def facts(stream: DataFrame) -> DataFrame:
@@ -77,3 +85,27 @@ def degrees(stream: DataFrame) -> DataFrame:
         yield pd.DataFrame({"user_id": [key[0]], "n": [n]})
 
     return stream.groupBy("user_id").applyInPandasWithState(add, "user_id bigint, n bigint", "n bigint", "update", "NoTimeout")
+
+
+def replay(spark: SparkSession, sf_dir: str, of: Callable[[DataFrame], DataFrame], scratch: Scratch, progress: list | None = None) -> DataFrame:
+    """What ``of`` gives in append mode for events that arrive in three parts: the later half, its last instant, then the
+    earlier half, which is late. Each part is one run of the stream, however many files it has; the next run goes on from
+    the checkpoint, as after a restart."""
+    table = spark.read.parquet(f"{sf_dir}/events.parquet")
+    at = F.col("ts").cast("timestamp").cast("double")
+    low, high = table.agg(F.min(at), F.max(at)).first()
+    if low is None:
+        low = high = 0.0
+    scratch.n += 1
+    root = f"{scratch.root}/replay{scratch.n}"
+    later = at >= (low + high) / 2
+    for i, part in enumerate((later & (at < high), later & (at == high), ~later)):
+        table.where(part).write.parquet(f"{root}/in/part={i}")
+        stream = spark.readStream.schema(table.schema).option("recursiveFileLookup", "true").parquet(f"{root}/in")
+        _run(of(stream.withColumn("ts", F.col("ts").cast("timestamp"))), root, "append", None, progress)
+    return spark.read.parquet(f"{root}/out").drop("batch")
+
+
+def dropped(progress: list) -> int:
+    """Rows that the watermark shut out, over all micro-batches; rows folded before the state count as one."""
+    return sum(op.numRowsDroppedByWatermark for p in progress for op in p.stateOperators)
