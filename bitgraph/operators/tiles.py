@@ -321,6 +321,12 @@ def _walk_bindings(tree: Tree, x: dict, s: np.ndarray | None, o: np.ndarray | No
         ends.append(at)
     rows, cols = [], []
     at = np.flatnonzero(inside)
+    if len(at) > tree.n_points:  # reading the tile once and looking its points up is cheaper than a walk for each binding
+        _, r, c, _ = tree.ranges(*np.array([[0], [side - 1], [0], [side - 1]], np.int64))
+        wanted = np.unique(sum(e[at] * k for e, k in zip(ends, (side, 1), strict=True) if e is not None))
+        key = sum(y * k for e, y, k in zip(ends, (r, c), (side, 1), strict=True) if e is not None)
+        found = wanted[np.minimum(np.searchsorted(wanted, key), len(wanted) - 1)] == key
+        return r[found], c[found]
     for k in range(0, len(at), CHUNK):
         part = at[k : k + CHUNK]
         free = np.zeros(len(part), np.int64)

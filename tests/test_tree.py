@@ -79,3 +79,27 @@ def test_walks(schedule, leaf):
                 assert got == sorted(got)
         for limit in (0, 50, side + 1):
             assert sorted(tree.diagonal(limit).tolist()) == sorted(a for a, b in have if a == b and a < limit)
+
+
+def test_bindings_that_outnumber_the_points():
+    """Reading a tile and looking its points up gives what a walk for each binding gives."""
+    from bitgraph.operators.tiles import _walk_bindings
+
+    rng = np.random.default_rng(12)
+    schedule = Schedule.named("k2", 64)
+    cells = {(int(r), int(c)) for r, c in rng.integers(0, 64, (40, 2))}
+    rows, cols = (np.array(v) for v in zip(*sorted(cells), strict=True))
+    tree = Tree.build(np.unique(codes_of(rows, cols, schedule)), schedule)
+    x = {"row0": 128, "col0": 64}
+    ids = np.arange(100, 300)
+    pairs = np.array([(s, o) for s in range(125, 200) for o in range(60, 140)])
+    for n in (20, len(ids)):
+        s, o = rng.choice(ids, n, replace=False), rng.choice(ids, n, replace=False)
+        for a, b, want in ((s, None, {z for z in cells if z[0] + 129 in s}), (None, o, {z for z in cells if z[1] + 65 in o})):
+            r, c = _walk_bindings(tree, x, a, b)
+            assert len(r) == len(want) and set(zip(r.tolist(), c.tolist(), strict=True)) == want
+    for n in (10, 3000):
+        part = rng.permutation(pairs)[:n]
+        r, c = _walk_bindings(tree, x, part[:, 0], part[:, 1])
+        want = {z for z in cells if (z[0] + 129, z[1] + 65) in set(map(tuple, part.tolist()))}
+        assert len(r) == len(want) and set(zip(r.tolist(), c.tolist(), strict=True)) == want
