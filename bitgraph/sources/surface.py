@@ -11,7 +11,7 @@ from pyspark.sql import types as T
 from pyspark.sql.datasource import DataSource, DataSourceReader, EqualTo, In, InputPartition
 from pyspark.sql.functions import pandas_udf, udtf
 
-from bitgraph.functions.bits import Bits, Codes
+from bitgraph.functions.bits import BLOCK, Bits, Codes
 from bitgraph.operators import dictionary
 from bitgraph.operators.graph import Graph
 from bitgraph.operators.tiles import PAYLOAD, TreeIndex, _walk_bindings, from_row
@@ -53,13 +53,68 @@ def tree_stats(tile: pd.DataFrame) -> pd.DataFrame:
     return pd.DataFrame(out, columns=["n_points", "n_t", "n_leaves", "height", "n_bits"])
 
 
+def _starts(sizes: np.ndarray) -> np.ndarray:
+    return np.cumsum(sizes) - sizes
+
+
+def _short_codes(lists: list[np.ndarray], b: int) -> list[list[dict]]:
+    """Planes of each list as ``Codes.encode`` makes them, for all lists at once; a list fits a block of the directory."""
+    out: list[list[dict]] = [[] for _ in lists]
+    owner = np.repeat(np.arange(len(lists)), [len(x) for x in lists])
+    left = np.concatenate(lists) if lists else np.zeros(0, np.int64)
+    while len(left):
+        more, n = left >> b > 0, np.bincount(owner, minlength=len(lists))
+        at, per = np.arange(len(left)) - _starts(n)[owner], max(1, 8 // b)
+        size, n_words = (2 * n if b == 16 else -(-n // per)), -(-n // 64)
+        if b == 16:
+            raw = (left & 0xFFFF).astype("<u2").tobytes()
+        else:
+            chunks = np.zeros(size.sum(), np.uint8)
+            np.bitwise_or.at(chunks, _starts(size)[owner] + at // per, ((left & ((1 << b) - 1)) << (at % per * b)).astype(np.uint8))
+            raw = chunks.tobytes()
+        words = np.zeros(n_words.sum(), "<u8")
+        np.bitwise_or.at(words, (_starts(n_words)[owner] + at // 64)[more], np.uint64(1) << (at[more] & 63).astype(np.uint64))
+        bitmap, c, w = words.tobytes(), _starts(size).tolist(), (8 * _starts(n_words)).tolist()
+        for i in np.flatnonzero(n).tolist():
+            out[i].append({"chunks": raw[c[i] : c[i] + int(size[i])], "more": bitmap[w[i] : w[i] + 8 * int(n_words[i])], "rank": bytes(4)})
+        left, owner = left[more] >> b, owner[more]
+    return out
+
+
+def _short_get(planes: list, b: int, at: np.ndarray) -> np.ndarray:
+    """The at-th number of each of the codes, one plane of all codes after the other."""
+    out, open_, level, per = np.zeros(len(at), np.int64), np.flatnonzero([len(p) > 0 for p in planes]), 0, max(1, 8 // b)
+    at = at[open_]
+    while len(open_):
+        here = [planes[k][level] for k in open_]
+        raw, words = np.frombuffer(b"".join(p["chunks"] for p in here), np.uint8), np.frombuffer(b"".join(p["more"] for p in here), "<u8")
+        c, w = _starts(np.array([len(p["chunks"]) for p in here])), _starts(np.array([len(p["more"]) // 8 for p in here]))
+        if b == 16:
+            digit = raw.view("<u2")[c // 2 + at].astype(np.int64)
+        else:
+            digit = (raw[c + at // per].astype(np.int64) >> (at % per * b)) & ((1 << b) - 1)
+        out[open_] |= digit << (b * level)
+        before = np.concatenate(([0], np.cumsum(np.bitwise_count(words), dtype=np.int64)))
+        word, bit = words[w + (at >> 6)], (at & 63).astype(np.uint64)
+        on = ((word >> bit) & np.uint64(1)).astype(bool)
+        rank = before[w + (at >> 6)] - before[w] + np.bitwise_count(word & ((np.uint64(1) << bit) - np.uint64(1)))
+        open_, at, level = open_[on], rank[on], level + 1
+    return out
+
+
 def dac_encode(chunk: int = 8):
     """A function of an array of numbers of 0 and more to directly addressable codes."""
     @pandas_udf(_DAC)
     def encode(numbers: pd.Series) -> pd.DataFrame:
-        codes = [Codes.encode(np.asarray(x, np.int64), chunk) for x in numbers]
-        planes = [[{"chunks": c.tobytes(), "more": m.words.tobytes(), "rank": m.directory.tobytes()} for c, m in x.planes] for x in codes]
-        return pd.DataFrame({"planes": planes, "chunk": [chunk] * len(codes)})
+        def coded(x: np.ndarray) -> list[dict]:
+            return [{"chunks": c.tobytes(), "more": m.words.tobytes(), "rank": m.directory.tobytes()} for c, m in Codes.encode(x, chunk).planes]
+
+        lists = [np.asarray(x, np.int64) for x in numbers]
+        short = [i for i, x in enumerate(lists) if len(x) <= BLOCK]
+        planes = [None if len(x) <= BLOCK else coded(x) for x in lists]
+        for i, x in zip(short, _short_codes([lists[i] for i in short], chunk), strict=True):
+            planes[i] = x
+        return pd.DataFrame({"planes": planes, "chunk": [chunk] * len(planes)})
 
     return encode
 
@@ -69,7 +124,14 @@ def dac_get(codes: pd.DataFrame, i: pd.Series) -> pd.Series:
     """The i-th number of directly addressable codes, from 0, by one access in each plane that it reaches."""
     bits = lambda p: Bits(np.frombuffer(p["more"], "<u8"), np.frombuffer(p["rank"], "<u4"))
     one = lambda planes, b, at: int(Codes(b, [(np.frombuffer(p["chunks"], np.uint8), bits(p)) for p in planes]).get(np.array([at]))[0])
-    return pd.Series([one(p, int(b), int(at)) for p, b, at in zip(codes["planes"], codes["chunk"], i, strict=True)], dtype="int64")
+    short = np.array([len(p) == 0 or 8 * len(p[0]["more"]) <= BLOCK for p in codes["planes"]], bool)
+    out = np.zeros(len(i), np.int64)
+    for k in np.flatnonzero(~short):
+        out[k] = one(codes["planes"].iloc[k], int(codes["chunk"].iloc[k]), int(i.iloc[k]))
+    for b in np.unique(codes["chunk"][short]):
+        mine = np.flatnonzero(short & (codes["chunk"].to_numpy() == b))
+        out[mine] = _short_get([codes["planes"].iloc[k] for k in mine], int(b), i.to_numpy(np.int64)[mine])
+    return pd.Series(out, dtype="int64")
 
 
 def register_functions(spark: SparkSession) -> None:
