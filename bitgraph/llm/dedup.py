@@ -14,8 +14,12 @@ first class. A class is undecided if a list holds another one that it may be lik
 finds these without making the pairs. They get sketches of WIDE values, longer signatures and lists of their own, and at
 most ROUNDS times each is compared with PIVOTS random members of its lists in other components, which joins most that can
 be joined. Then all pairs of a list that are still in different components are compared; those inside a component could
-join nothing. A pair's similarity is estimated on the union sketch, which for sets that fit a sketch is exact, and counted
-on the full sets where the estimate is not far below the threshold. Components come from alternating stars. Nothing is collected to the driver.
+join nothing. A pair is made in the list of the first value that it shares, hardly in those of the others: an entry knows
+the BEFORE values that its class lists before, and of two entries with a common one the pair is left to that one's list.
+The first place is also the one where the filter lets through most. A pair's similarity is estimated on the union sketch,
+which for sets that fit a sketch is exact. Bitmaps of the full sets then end most pairs below the threshold and none
+other, and only the sets of those left are sent to be counted. Components come from alternating stars. Nothing is
+collected to the driver.
 
 Defined results: text without words (null, empty) is linked with nothing; a text of fewer words than a shingle is one
 shingle; repeated rows are one class; a null id takes part, but names no component unless no other id does; an empty
@@ -50,6 +54,10 @@ LEAST_ESTIMATE = 0.34
 DEVIATIONS = 6.5
 #: Bits of a signature (a multiple of 64) by the size of the sketch beside it, and the greatest chance that a pair at the threshold fails its test.
 SIGNED, SIGNED_LOSS = {SKETCH: 128, WIDE: 512}, 1e-10
+#: Values of a class before an entry of the widest lists that the entry knows.
+BEFORE = 4
+#: Least bits of a set's bitmap for each of its values; the number of bits is a power of two.
+BITMAP = 8
 #: Keys of texts that may be broadcast (24 bytes each); more are joined by a shuffle.
 MOST_BROADCAST = 1_000_000
 #: Bytes of full sets that may be broadcast; more are joined by a shuffle.
@@ -96,6 +104,20 @@ def signature(hashes: np.ndarray, bits: int) -> np.ndarray:
     return np.packbits(out).view(np.int64)
 
 
+def bitmap(hashes: np.ndarray) -> bytes:
+    """A bit for each value of a set, in places by the value's low bits; values may fall together."""
+    bits = max(64, 1 << (BITMAP * len(hashes) - 1).bit_length())
+    out = np.zeros(bits, np.uint8)
+    out[hashes & (bits - 1)] = 1
+    return np.packbits(out).tobytes()
+
+
+def least_apart(p: np.ndarray, q: np.ndarray) -> int:
+    """Values at least that only one of two sets holds, from their bitmaps: a bit that differs needs one of its own."""
+    p, q = (np.bitwise_or.reduce(x.reshape(-1, min(len(p), len(q)))) for x in (p, q))
+    return int(np.bitwise_count(p ^ q).sum())
+
+
 def most_different(over: int, under: int, bits: int) -> int:
     """Bits that may differ between signatures at the threshold; more do with a chance of at most SIGNED_LOSS.
 
@@ -129,13 +151,25 @@ def _sketches(width: int, size: int):
     return batches
 
 
-def _sets(width: int, size: int):
+def _sets(width: int):
     def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         shingles = Shingler(width)
         for batch in slices(it):
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
-            lists, signs = pa.array([s[:size] for s in sets], pa.list_(pa.int64())), pa.array([signature(s, SIGNED[size]) for s in sets], pa.list_(pa.int64()))
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, lists, pa.array([s.tobytes() for s in sets], pa.binary()), batch.column(3)], names=["c", "n", "sign", "sketch", "hashes", "many"])
+            lists, signs = pa.array(sets, pa.list_(pa.int64())), pa.array([signature(s, SIGNED[WIDE]) for s in sets], pa.list_(pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, pa.array([bitmap(s) for s in sets], pa.binary()), lists, batch.column(3)], names=["c", "n", "sign", "bitmap", "hashes", "many"])
+
+    return batches
+
+
+def _near(over: int, under: int):
+    """(a, b, n, m, bitmap of a, bitmap of b) to those (a, b) that may be at the threshold; no pair at or over it is lost."""
+    def batches(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in slices(it):
+            both = (batch.column(2).to_numpy() + batch.column(3).to_numpy()).tolist()
+            # common / together >= over / under, where common + together = both and together - common = apart
+            near = [(under + over) * least_apart(*(np.frombuffer(v.as_buffer(), np.uint8) for v in (x, y))) <= (under - over) * k for x, y, k in zip(batch.column(4), batch.column(5), both, strict=True)]
+            yield batch.select([0, 1]).filter(pa.array(near, pa.bool_()))
 
     return batches
 
@@ -145,7 +179,7 @@ def _common(it: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     for batch in slices(it):
         common, together = [], []
         for x, y in zip(batch.column(2), batch.column(3), strict=True):
-            p, q = (np.frombuffer(v.as_buffer(), np.int64) for v in (x, y))
+            p, q = (v.values.to_numpy() for v in (x, y))
             c = len(np.intersect1d(p, q, assume_unique=True))
             common.append(c)
             together.append(len(p) + len(q) - c)
@@ -173,7 +207,7 @@ class NearDuplicates:
         scratch.drop(sketched)
 
     def lists(self, classes: DataFrame, size: int) -> DataFrame:
-        """(v, c, n, at, sign): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v."""
+        """(v, c, n, at, before, sign): the inverted lists, of values that two of ``classes`` or more list. ``at``: values of the class before v, ``before``: the last of them in lists."""
         kept = classes.select("c", F.explode("sketch").alias("v"))
         held = kept.withColumn("held", F.count("*").over(Window.partitionBy("v"))).where("held > 1")  # one shuffle, and it spills
         mine = held.groupBy("c").agg(F.sort_array(F.collect_list(F.struct("held", "v"))).alias("vs"))  # a sketch at most
@@ -182,8 +216,9 @@ class NearDuplicates:
         part = F.when(fits, F.col("n") - F.ceil(F.col("n") * self.threshold[0] / self.threshold[1]) + 1).otherwise(_listed(*self.threshold, size))
         alone = F.least(F.col("n"), F.lit(size)) - F.size("vs")  # values of no other class come first in the order
         left = F.greatest(part - alone, F.lit(0)).cast("int")
-        placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at")))
-        return mine.select("c", "n", "sign", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at", "sign")
+        last = lambda i: F.slice("vs.v", F.greatest(i - BEFORE, F.lit(0)) + 1, F.least(i, F.lit(BEFORE)))
+        placed = F.transform(F.slice("vs", F.lit(1), left), lambda x, i: F.struct(x["v"].alias("v"), (i + alone).alias("at"), last(i).alias("before")))
+        return mine.select("c", "n", "sign", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at", "x.before", "sign")
 
     def _alike(self, size: int, n: Column, at: Column, sign: Column, m: Column, bt: Column, mark: Column) -> Column:
         """Length, positional and signature filter of two classes of n and m values that meet at places at and bt of a list.
@@ -202,11 +237,11 @@ class NearDuplicates:
         return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely) & ((most <= SKETCH) | (differ <= most_different(over, under, bits)))
 
     def _full_sets(self, wanted: DataFrame) -> DataFrame:
-        """(c, n, sign, sketch of WIDE values, hashes) of the classes ``wanted`` (c)."""
+        """(c, n, sign, bitmap, hashes) of the classes ``wanted`` (c)."""
         wanted = self.scratch.keep(wanted.distinct().join(self.classes.select("c", "key", "n", "many"), "c"))
         sent = F.broadcast(wanted) if wanted.count() <= MOST_BROADCAST else wanted
         texts = self.texts.select("key", "text").join(sent, "key").select("c", "n", "text", "many")
-        sets = texts.mapInArrow(_sets(self.width, WIDE), "c bigint, n bigint, sign array<bigint>, sketch array<bigint>, hashes binary, many boolean")
+        sets = texts.mapInArrow(_sets(self.width), "c bigint, n bigint, sign array<bigint>, bitmap binary, hashes array<bigint>, many boolean")
         sets = self.scratch.keep(sets)
         again = self.scratch.keep(sets.where("many").dropDuplicates(["c"]))  # the key of a repeated row finds it as often
         self.scratch.drop(wanted)
@@ -228,18 +263,26 @@ class NearDuplicates:
         likely = self.scratch.keep(self._estimated(pairs) if own else pairs)  # the wide signatures told as much
         if own:
             sets = self._full_sets(likely.select(F.col("a").alias("c")).union(likely.select(F.col("b").alias("c"))))
-        n_values = sets.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
-        sent = F.broadcast if 8 * n_values <= MOST_SET_BYTES else lambda t: t  # a set may be in many pairs
-        side = lambda s: sent(sets.select(F.col("c").alias(s), F.col("hashes").alias(f"{s}_hashes")))
-        full = likely.join(side("a"), "a").join(side("b"), "b").select("a", "b", "a_hashes", "b_hashes")
+        near = self.scratch.keep(self._with(likely, sets, "n", "bitmap", size=F.octet_length("bitmap")).select("a", "b", "a_n", "b_n", "a_bitmap", "b_bitmap").mapInArrow(_near(*self.threshold), "a bigint, b bigint"))
+        ends = self.scratch.keep(near.select(F.col("a").alias("c")).union(near.select(F.col("b").alias("c"))).distinct())
+        used = sets.join(F.broadcast(ends), "c", "left_semi") if ends.count() <= MOST_BROADCAST else sets
+        full = self._with(near, used, "hashes", size=8 * F.col("n")).select("a", "b", "a_hashes", "b_hashes")
         counted = full.mapInArrow(_common, "a bigint, b bigint, common bigint, together bigint")
         out = self.scratch.keep(counted.where(F.col("common") * self.threshold[1] >= F.col("together") * self.threshold[0]))
-        self.scratch.drop(likely, *(sets.parts if own else ()))
+        self.scratch.drop(likely, near, ends, *(sets.parts if own else ()))
         return out
 
+    @staticmethod
+    def _with(pairs: DataFrame, sets: DataFrame, *columns: str, size: Column) -> DataFrame:
+        """``pairs`` with columns of the sets of both ends, as a_... and b_...; ``size``: bytes that a set takes."""
+        sent = F.broadcast if sets.agg(F.coalesce(F.sum(size), F.lit(0))).first()[0] <= MOST_SET_BYTES else lambda t: t  # a set may be in many pairs
+        for s in ("a", "b"):
+            pairs = pairs.join(sent(sets.select(F.col("c").alias(s), *[F.col(k).alias(f"{s}_{k}") for k in columns])), s)
+        return pairs
+
     def _rooted(self, lists: DataFrame, roots: DataFrame) -> DataFrame:
         """The lists that hold classes of different components, with the component r."""
-        rooted = lists.join(roots, lists["c"] == roots["node"], "left").select("v", "c", "n", "at", "sign", F.coalesce("root", "c").alias("r"))
+        rooted = lists.join(roots, lists["c"] == roots["node"], "left").select(*lists.columns, F.coalesce("root", "c").alias("r"))
         mixed = rooted.groupBy("v").agg(F.min("r").alias("x"), F.max("r").alias("y")).where("x <> y").select("v")
         return self.scratch.keep(rooted.join(mixed, "v"))
 
@@ -247,11 +290,20 @@ class NearDuplicates:
         """Of two list entries, (c, n, at, sign, r) and (b, m, bt, mark, q): whether they may be links between components."""
         return (F.col("c") != F.col("b")) & (F.col("r") != F.col("q")) & self._alike(size, F.col("n"), F.col("at"), F.col("sign"), F.col("m"), F.col("bt"), F.col("mark"))
 
+    @staticmethod
+    def _other(lists: DataFrame, *more: Column) -> DataFrame:
+        return lists.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("sign").alias("mark"), F.col("r").alias("q"), *more)
+
+    def pairs_across(self, lists: DataFrame) -> DataFrame:
+        """(a, b), a > b: all pairs of the widest lists that may be links between components, seldom more than once."""
+        meet = lists.join(self._other(lists, F.col("before").alias("prior")), "v")
+        first = ~F.arrays_overlap("before", "prior")
+        return meet.where((F.col("c") > F.col("b")) & self._across(WIDE) & first).select(F.col("c").alias("a"), "b")
+
     def links(self) -> Iterator[DataFrame]:
         """Tables (a, b, common, together) of verified links, enough to connect all that are connected. Leaves ``roots``."""
-        other = lambda lists: lists.select("v", F.col("c").alias("b"), F.col("n").alias("m"), F.col("at").alias("bt"), F.col("sign").alias("mark"), F.col("r").alias("q"))
-        pair = (F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b"))
-        lists = self.scratch.keep(self.lists(self.classes, SKETCH).withColumn("r", F.col("c")))
+        other, pair = self._other, (F.greatest("c", "b").alias("a"), F.least("c", "b").alias("b"))
+        lists = self.scratch.keep(self.lists(self.classes, SKETCH).drop("before").withColumn("r", F.col("c")))
         ends = lists.groupBy("v").agg(F.min(F.struct("c", "n", "at", "sign", "r")).alias("f"), F.min(F.struct("n", "c", "at", "sign", "r")).alias("g"))
         entry = lambda x: F.struct(*[F.col(f"{x}.{k}").alias(k) for k in ("c", "n", "at", "sign", "r")])
         pivots = ends.select("v", F.explode(F.array(entry("f"), entry("g"))).alias("x")).select("v", "x.*")
@@ -265,12 +317,12 @@ class NearDuplicates:
         undecided = left.join(on, (F.col("v") == F.col("w")) & self._across(SKETCH), "left_semi").select("c")
         sets = self._full_sets(undecided)
         self.scratch.drop(left)
-        wide = self.scratch.keep(self.lists(sets, WIDE))
+        wide = self.scratch.keep(self.lists(sets.select("c", "n", "sign", F.slice("hashes", 1, WIDE).alias("sketch")), WIDE))
 
         turn, n_undecided = 0, sets.count()
         joined = n_undecided
         while turn < ROUNDS and joined * FRUITFUL >= n_undecided > 0:
-            mixed = self._rooted(wide, self.roots)
+            mixed = self._rooted(wide.drop("before"), self.roots)
             drawn = mixed.withColumn("h", F.xxhash64("c", "v", F.lit(turn)))
             pivots = drawn.groupBy("v", F.pmod("h", F.lit(PIVOTS)).alias("place")).agg(F.min(F.struct("h", "c", "n", "at", "sign", "r")).alias("x")).select("v", "x.*")
             found = self._join_in(self.verify(mixed.join(other(pivots), "v").where(self._across(WIDE)).select(*pair).distinct(), sets))
@@ -279,8 +331,7 @@ class NearDuplicates:
             self.scratch.drop(mixed)
 
         mixed = self._rooted(wide, self.roots)
-        rest = mixed.join(other(mixed), "v").where((F.col("c") > F.col("b")) & self._across(WIDE))
-        yield self._join_in(self.verify(rest.select(*pair).distinct(), sets))
+        yield self._join_in(self.verify(self.pairs_across(mixed).distinct(), sets))
         self.scratch.drop(wide, mixed, *sets.parts)
 
     def _join_in(self, found: DataFrame) -> DataFrame:

@@ -4,11 +4,13 @@ import random
 import re
 from collections import Counter, defaultdict
 
+import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from bitgraph.llm.common import Scratch
 from bitgraph.llm.components import components
-from bitgraph.llm.dedup import Shingler, near_duplicates
+from bitgraph.llm.dedup import WIDE, NearDuplicates, Shingler, bitmap, least_apart, near_duplicates
 
 
 def shingle_set(text, width):
@@ -71,6 +73,31 @@ def test_a_text_and_its_longer_copy_meet_at_every_number_of_unshared_values(spar
     assert {r.doc_id: r.component_id for r in got} == {i: i // 2 * 2 for i, _ in rows}
 
 
+def test_a_pair_is_made_in_the_list_of_its_first_shared_value(spark):
+    rng, rows = random.Random(5), []
+    for base in range(3):
+        words = [f"w{base}x{i}" for i in range(300)]
+        rows += [(100 * base + k, " ".join(rng.sample(words, 255))) for k in range(20)]  # as like as 0.74, below the threshold
+    found = NearDuplicates(spark.createDataFrame(rows, "doc_id long, text string"), Scratch(spark), width=1)
+    sets = found._full_sets(found.classes.select("c"))
+    lists = found.lists(sets.selectExpr("c", "n", "sign", f"slice(hashes, 1, {WIDE}) AS sketch"), WIDE).withColumn("r", sets["c"])
+    every = lists.join(found._other(lists), "v").where((lists["c"] > F.col("b")) & found._across(WIDE)).select(lists["c"].alias("a"), "b")
+    made = found.pairs_across(lists)
+    assert {*map(tuple, made.collect())} == {*map(tuple, every.collect())}
+    assert made.count() < 1.5 * made.distinct().count() < every.count() / 10
+
+
+def test_bitmaps_end_no_pair_of_fewer_values_apart():
+    rng = random.Random(7)
+    for n in (1, 7, 9, 40, 300, 3000):
+        for _ in range(20):
+            p = [rng.getrandbits(63) for _ in range(n)]
+            q = rng.sample(p, rng.randint(0, n)) + [rng.getrandbits(63) for _ in range(rng.randint(0 if n > 1 else 1, n))] or p
+            a, b = (np.frombuffer(bitmap(np.array(x, np.int64)), np.uint8) for x in (p, q))
+            apart = len({*p} ^ {*q})
+            assert apart * 0.7 - 3 <= least_apart(a, b) <= apart
+
+
 def test_empty(spark, docs):
     assert near_duplicates(docs.limit(0), Scratch(spark)).count() == 0
 
