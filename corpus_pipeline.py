@@ -49,10 +49,15 @@ def redact_secrets(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFra
 
 def mix_sources(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """The documents that the mix takes, with how many copies of each."""
-    keyed = docs.select(*COLUMNS).withColumn("key", row_key(*[F.col(c) for c in COLUMNS]))
-    taken = mixing.mix(keyed.withColumn("row", F.col("key")), Scratch(spark), carry=("row",)).where("copies > 0")
-    copies = taken.groupBy(F.col("row").alias("key")).agg(F.max("size").alias("size"), F.sum("copies").alias("copies"), F.sum("taken").alias("taken"))
-    return keyed.dropDuplicates(["key"]).join(copies, "key").select(*COLUMNS, "size", "copies", "taken")
+    keyed, scratch = docs.select(*COLUMNS).withColumn("key", row_key(*[F.col(c) for c in COLUMNS])), Scratch(spark)
+    rows = mixing.mix(keyed.withColumn("row", F.col("key")), scratch, carry=("row",)).groupBy(F.col("row").alias("key"))
+    mixed = rows.agg(F.max("size").alias("size"), F.sum("copies").alias("copies"), F.sum("taken").alias("taken"), (F.count("*") > 1).alias("repeated"))
+    taken = scratch.keep(mixed.where("copies > 0"))
+    repeated = taken.where("repeated")
+    sent = F.broadcast(repeated) if repeated.count() <= mixing.MOST_BROADCAST else repeated
+    # texts are long: they are dealt out by key once, and a second time only where rows repeat
+    out = keyed.join(taken.where("NOT repeated"), "key").union(keyed.join(sent, "key").dropDuplicates(["key"]))
+    return out.select(*COLUMNS, "size", "copies", "taken")
 
 
 STAGES = [("language_id", identify_language), ("near_dedup", drop_near_duplicates), ("decontamination", decontaminate), ("secret_redaction", redact_secrets), ("mixing", mix_sources)]

@@ -54,3 +54,12 @@ def test_stages(spark, docs, odd):
 def test_stages_of_nothing(spark, docs):
     for _, stage in cp.STAGES:
         assert stage(spark, docs.limit(0), SF).count() == 0
+
+
+def test_mixing_deals_out_only_repeated_texts_to_find_repeats(spark, docs):
+    now = docs.limit(40).union(docs.limit(3))
+    out = cp.mix_sources(spark, now, SF)
+    dealt = out._jdf.queryExecution().optimizedPlan().toString().split("first(text")
+    assert len(dealt) > 1 and "repeated" in dealt[-1]
+    got, rows = out.collect(), Counter(tuple(r) for r in now.collect())
+    assert len({r.doc_id for r in got}) == len(got) and all(r.copies <= 3 * rows[tuple(r[:5])] for r in got)
