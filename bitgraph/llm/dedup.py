@@ -54,6 +54,8 @@ LEAST_ESTIMATE = 0.34
 DEVIATIONS = 6.5
 #: Bits of a signature (a multiple of 64) by the size of the sketch beside it, and the greatest chance that a pair at the threshold fails its test.
 SIGNED, SIGNED_LOSS = {SKETCH: 128, WIDE: 512}, 1e-10
+#: Bits of the parities that a wide signature ends with (a multiple of 64).
+PARITY = 512
 #: Values of a class before an entry of the widest lists that the entry knows.
 BEFORE = 4
 #: Least bits of a set's bitmap for each of its values; the number of bits is a power of two.
@@ -104,6 +106,20 @@ def signature(hashes: np.ndarray, bits: int) -> np.ndarray:
     return np.packbits(out).view(np.int64)
 
 
+def parities(hashes: np.ndarray, bits: int = PARITY) -> np.ndarray:
+    """Bits of a set as 64-bit integers: the values fall in as many bins, and a bin's bit tells if they are odd in number.
+
+    Bits of two sets that differ are no more than the values that only one of them holds, and hardly fewer where these
+    are few to the bins: a bin with an even number of such values, or none, has the same bit in both.
+    """
+    odd = np.bincount(hashes & (bits - 1), minlength=bits) & 1
+    return np.packbits(odd.astype(np.uint8)).view(np.int64)
+
+
+def wide_signature(hashes: np.ndarray) -> np.ndarray:
+    return np.concatenate([signature(hashes, SIGNED[WIDE]), parities(hashes)])
+
+
 def bitmap(hashes: np.ndarray) -> bytes:
     """A bit for each value of a set, in places by the value's low bits; values may fall together."""
     bits = max(64, 1 << (BITMAP * len(hashes) - 1).bit_length())
@@ -156,7 +172,7 @@ def _sets(width: int):
         shingles = Shingler(width)
         for batch in slices(it):
             sets = [shingles(t) for t in batch.column(2).to_pylist()]
-            lists, signs = pa.array(sets, pa.list_(pa.int64())), pa.array([signature(s, SIGNED[WIDE]) for s in sets], pa.list_(pa.int64()))
+            lists, signs = pa.array(sets, pa.list_(pa.int64())), pa.array([wide_signature(s) for s in sets], pa.list_(pa.int64()))
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), signs, pa.array([bitmap(s) for s in sets], pa.binary()), lists, batch.column(3)], names=["c", "n", "sign", "bitmap", "hashes", "many"])
 
     return batches
@@ -221,7 +237,7 @@ class NearDuplicates:
         return mine.select("c", "n", "sign", F.explode(placed).alias("x")).select("x.v", "c", "n", "x.at", "x.before", "sign")
 
     def _alike(self, size: int, n: Column, at: Column, sign: Column, m: Column, bt: Column, mark: Column) -> Column:
-        """Length, positional and signature filter of two classes of n and m values that meet at places at and bt of a list.
+        """Length, positional, signature and parity filter of two classes of n and m values that meet at places at and bt of a list.
 
         At the first value they share, what lies before it is in one of the two sketches only: exact for sets that fit a
         sketch. For larger ones its expected number in each, at the threshold, is that of the larger set's own values.
@@ -233,8 +249,11 @@ class NearDuplicates:
         own = 1 - (1 + least / most) * (over / (over + under))  # share of the larger set's values that the other lacks
         likely = F.greatest(at, bt) <= size * own + DEVIATIONS * F.sqrt(size * own * (1 - own))
         bits = SIGNED[size]
-        differ = sum((F.bit_count(sign[i].bitwiseXOR(mark[i])) for i in range(bits // 64)), F.lit(0))
-        return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely) & ((most <= SKETCH) | (differ <= most_different(over, under, bits)))
+        differ = lambda first, end: sum((F.bit_count(sign[i].bitwiseXOR(mark[i])) for i in range(first // 64, end // 64)), F.lit(0))
+        signed = (most <= SKETCH) | (differ(0, bits) <= most_different(over, under, bits))
+        if size == WIDE:  # values apart at the threshold are the share of _near, and the parities that differ are no more
+            signed &= (under + over) * differ(bits, bits + PARITY) <= (under - over) * (n + m)
+        return (under * least >= over * most) & F.when(most <= size, exact).otherwise(likely) & signed
 
     def _full_sets(self, wanted: DataFrame) -> DataFrame:
         """(c, n, sign, bitmap, hashes) of the classes ``wanted`` (c)."""

@@ -10,7 +10,7 @@ from pyspark.sql import functions as F
 
 from bitgraph.llm.common import Scratch
 from bitgraph.llm.components import components
-from bitgraph.llm.dedup import WIDE, NearDuplicates, Shingler, bitmap, least_apart, near_duplicates
+from bitgraph.llm.dedup import WIDE, NearDuplicates, Shingler, bitmap, least_apart, near_duplicates, parities
 
 
 def shingle_set(text, width):
@@ -106,3 +106,25 @@ def test_components_of_a_path_a_star_and_a_loop(spark):
     edges = [(i, i + 1) for i in range(40)] + [(100, 100 + i) for i in range(30)] + [(7000, 7000)]
     got = dict(components(spark.createDataFrame(edges, "a long, b long"), Scratch(spark)).collect())
     assert got == {i: 0 for i in range(1, 41)} | {100 + i: 100 for i in range(1, 30)}
+
+
+def test_parities_tell_no_more_values_apart_than_there_are_and_hardly_fewer():
+    rng = random.Random(11)
+    for n, apart in ((1, 1), (40, 9), (150, 33), (150, 60), (400, 90), (3000, 600)):
+        for _ in range(20):
+            p = [rng.getrandbits(63) for _ in range(n)]
+            q = p[apart // 2 :] + [rng.getrandbits(63) for _ in range(apart - apart // 2)]
+            a, b = (parities(np.array(x, np.int64)).view(np.uint8) for x in (p, q))
+            told = int(np.bitwise_count(a ^ b).sum())
+            assert told <= apart and (apart > 90 or told >= apart * 0.7 - 3)
+
+
+def test_a_large_group_just_below_the_threshold_makes_few_pairs(spark):
+    rng, words = random.Random(13), [f"w{i}" for i in range(150)]
+    rows = [(k, " ".join(w if i not in changed else f"c{k}x{i}" for i, w in enumerate(words))) for k in range(120) for changed in [{*rng.sample(range(150), 14)}]]  # as like as 0.69
+    found = NearDuplicates(spark.createDataFrame(rows, "doc_id long, text string"), Scratch(spark), width=1)
+    made, verify = [], found.verify
+    found.verify = lambda pairs, sets=None: (made.append(pairs.count()), verify(pairs, sets))[1]
+    got = Counter((r.doc_id, r.n_shingles, r.component_id, r.kept) for r in found.result().collect())
+    assert got == brute(rows, 1)
+    assert made[-1] < 120 * 119 / 2 / 10, made
