@@ -14,7 +14,7 @@ first class. A class is undecided if a list holds another one that it may be lik
 finds these without making the pairs. They get sketches of WIDE values, longer signatures and lists of their own, and at
 most ROUNDS times each is compared with PIVOTS random members of its lists in other components, which joins most that can
 be joined. Then all pairs of a list that are still in different components are compared; those inside a component could
-join nothing. A pair is made in the list of the first value that it shares, hardly in those of the others: an entry knows
+join nothing. The longer signatures end with parities, by which a pair somewhat below the threshold ends too. A pair is made in the list of the first value that it shares, hardly in those of the others: an entry knows
 the BEFORE values that its class lists before, and of two entries with a common one the pair is left to that one's list.
 The first place is also the one where the filter lets through most. A pair's similarity is estimated on the union sketch,
 which for sets that fit a sketch is exact. Bitmaps of the full sets then end most pairs below the threshold and none
