@@ -6,6 +6,7 @@ import random
 import pytest
 from pyspark.sql import functions as F
 
+from bitgraph.operators import joins
 from bitgraph.operators.dynamic import DynamicIndex
 from bitgraph.operators.graph import Graph, open_graph
 from bitgraph.operators.joins import Pattern, classify
@@ -94,6 +95,21 @@ def test_joins_by_every_strategy(graph, kind):
     assert want
 
 
+@pytest.mark.parametrize("sent", [0, 1000])
+def test_a_side_without_constants_is_merged_once(spark, graph, monkeypatch, sent):
+    monkeypatch.setattr(joins, "MOST_SENT", sent)
+    have, given = facts(), [(i, o) for i, o in enumerate(["n/25", "n/30", "n/33", "none"])]
+    k = spark.createDataFrame(given, "i int, o string")
+    for a, b in ((("?x", "p0", "@o"), ("?x", "?q", "?y")), (("?y", "?q", "?x"), ("?x", "?p", "@o"))):
+        fixed, c = (a, 0) if "@o" in a else (b, 2)
+        want = {(i, f[0], g[1], g[2 - c]) for i, o in given for f in have for g in have if f[2] == o and fixed[1] in (f[1], "?p") and f[0] == g[c]}
+        df = graph.join(Pattern(*a), Pattern(*b), constants=k, strategy="merge").select("i", "x", "q", "y")
+        got = [tuple(r) for r in df.distinct().collect()]
+        assert want and set(got) == want
+        plan = df._jdf.queryExecution().executedPlan().toString()
+        assert "CartesianProduct" not in plan and "NestedLoop" not in plan
+
+
 @pytest.mark.parametrize("name", baselines.ENGINES)
 def test_engines_agree(graph, name):
     engine, ids = baselines.make(name, graph.ids, graph.scratch, graph.dim), [tuple(r) for r in graph.ids.collect()]

@@ -5,6 +5,7 @@ import pytest
 
 from bitgraph.functions.bits import Bits, Codes
 from bitgraph.functions.geometry import Schedule, dimension
+from bitgraph.operators import tree
 from bitgraph.operators.tree import Tree, codes_of, level_bits
 
 POINTS = np.array([(1, 3), (0, 4), (2, 5)])
@@ -103,3 +104,18 @@ def test_bindings_that_outnumber_the_points():
         r, c = _walk_bindings(tree, x, part[:, 0], part[:, 1])
         want = {z for z in cells if (z[0] + 129, z[1] + 65) in set(map(tuple, part.tolist()))}
         assert len(r) == len(want) and set(zip(r.tolist(), c.tolist(), strict=True)) == want
+
+
+@pytest.mark.parametrize("frontier", [3, 1 << 15])
+def test_a_walk_of_the_whole_tree_checks_no_ranges(monkeypatch, frontier):
+    def checked(*_):
+        raise AssertionError("ranges are compared node by node")
+
+    monkeypatch.setattr(tree, "_children", checked)
+    monkeypatch.setattr(tree, "FRONTIER", frontier)
+    for points in matrices():
+        for name, leaf in (("k2", "plain"), ("k2", "vocab8"), ("k4", "plain"), ("hybrid", "vocab8")):
+            s = Schedule.named(name, 100)
+            codes = np.unique(codes_of(points[:, 0], points[:, 1], s))
+            q, r, c, _ = Tree.build(codes, s, leaf).ranges([0], [s.side - 1], [0], [s.side - 1])
+            assert not q.any() and np.array_equal(codes_of(r, c, s), codes)
