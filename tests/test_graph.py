@@ -110,6 +110,28 @@ def test_a_side_without_constants_is_merged_once(spark, graph, monkeypatch, sent
         assert "CartesianProduct" not in plan and "NestedLoop" not in plan
 
 
+def test_list_bits_are_measured_once_a_pair(spark, graph, monkeypatch):
+    wide = [(1, 1, 5), (1, 1, 200), (1, 1, 65_535), (1, 1, 65_536), (1, 1, 90_000), (2, 1, 5), (2, 7, 1 << 33), (70_000, 1, 6), (140_000, 1, 6)]
+    for rows in ([tuple(r) for r in graph.ids.collect()], wide):
+        ids = spark.createDataFrame(rows, "s_id bigint, p_id bigint, o_id bigint").repartition(3)
+        dealt = []
+        monkeypatch.setattr(type(ids), "repartition", lambda self, *a, f=type(ids).repartition: dealt.append(a) or f(self, *a))
+        six, slices = (baselines.make(n, ids, graph.scratch, graph.dim) for n in ("six", "slices"))
+        for engine, orders in ((six, six.ORDERS), (slices, slices.FAMILIES.values())):
+            want = 0
+            for k in orders:
+                lists = {}
+                for r in rows:
+                    a, b, c = (r[("s_id", "p_id", "o_id").index(x)] for x in k)
+                    lists.setdefault((a, b, c >> 16), []).append(c)
+                for (*_, chunk), cs in lists.items():
+                    ends = sorted(cs)
+                    want += 64 + sum(8 * max(1, -(-(y - x).bit_length() // 7)) for x, y in zip([chunk << 16, *ends], ends))
+            assert engine.size_bits() == want
+        assert len(dealt) == 3
+        monkeypatch.undo()
+
+
 @pytest.mark.parametrize("name", baselines.ENGINES)
 def test_engines_agree(graph, name):
     engine, ids = baselines.make(name, graph.ids, graph.scratch, graph.dim), [tuple(r) for r in graph.ids.collect()]
